@@ -49,3 +49,15 @@ def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
 
 def cores(spark: SparkSession) -> int:
     return max(1, spark.sparkContext.defaultParallelism)
+
+
+def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, max_rows: int, seed: int) -> DataFrame:
+    """(doc_id string, label int, text) of at most about ``max_rows`` labelled documents, half for each label 0 and 1 where there are
+    enough, drawn by a keyed hash of the id. The drawn labels are bounded, so they are what is broadcast; texts are never shuffled."""
+    rows = labels.where(F.col(label).isin(0, 1)).select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("label"))
+    n = {r["label"]: r["count"] for r in rows.groupBy("label").count().collect()}
+    unit = F.xxhash64(F.lit(seed), "doc_id").bitwiseAND(F.lit((1 << 53) - 1)) / float(1 << 53)
+    rate = [min(1.0, max_rows / 2 / n.get(i, 1)) for i in (0, 1)]
+    drawn = rows.where(unit < F.when(F.col("label") == 0, F.lit(rate[0])).otherwise(F.lit(rate[1]))).limit(2 * max_rows)
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return texts.join(F.broadcast(drawn), "doc_id").select("doc_id", "label", "text")
