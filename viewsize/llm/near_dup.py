@@ -9,9 +9,11 @@ agree on ``match`` of ``coords`` coordinates must share one of the ``coords - ma
 * skip: the frequent pairs are never merged; the full number of collisions is read off the two signatures.
 
 Within a posting list pairs are not enumerated. A round compares all members with one pivot of their list; members already
-in one component need no further comparison. After ``stars`` rounds, the members outside the largest component of a list
-are compared with all members of other components there, which makes the result exact for any list. Pairs at or above
-``match`` collisions are confirmed on the full shingle sets.
+in one component need no further comparison. After the rounds, the members outside the largest component of a list are
+compared with the members of other components there, which makes the result exact for any list. In long lists that last
+step first counts, for each member, the shingles that any other member of a long list has: the intersection of two members
+is no larger than the smaller of these counts, so that most members of a group of much-edited copies pair with nothing.
+Pairs at or above ``match`` collisions are confirmed on the full shingle sets.
 
 ``match`` follows from the threshold: the largest value that a pair exactly at the threshold misses with a chance below
 ``miss`` (default 1e-8).
@@ -33,8 +35,10 @@ from .components import connected_components
 # Odd 64-bit multipliers of the shingle hash.
 _STEP, _MIX = 0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9
 _MEMO_WORDS = 300_000
-#: Class ids are 16-byte digests; so many of them (about 16 MB with their keys) are broadcast at most.
-BROADCAST_CLASSES = 200_000
+#: At most so many document ids (8 bytes each) are broadcast; more are joined by shuffling.
+BROADCAST_IDS = 500_000
+#: Lists with more members than this are long.
+LONG = 16
 
 
 class _WordHash(dict):
@@ -93,15 +97,15 @@ def _signer(k: int, coords: int):
     def run(batches):
         memo = _WordHash()
         for batch in batches:
-            ids, keys, n, prints, sigs = batch.column(0), batch.column(1), [], [], []
-            for text in batch.column(2):
+            n, prints, sigs = [], [], []
+            for text in batch.column(1):
                 h = shingles(text.as_py(), k, memo)
                 n.append(len(h))
                 prints.append(xxhash.xxh3_128_digest(h.tobytes()) if len(h) else None)
                 sigs.append(signature(h, coords) if len(h) else None)
             yield pa.RecordBatch.from_arrays(
-                [ids, keys, pa.array(n, pa.int64()), pa.array(prints, pa.binary()), pa.array(sigs, pa.list_(pa.int32()))],
-                names=["doc_id", "text_key", "n", "cls", "sig"],
+                [batch.column(0), pa.array(n, pa.int64()), pa.array(prints, pa.binary()), pa.array(sigs, pa.list_(pa.int32()))],
+                names=["doc_id", "n", "print", "sig"],
             )
 
     return run
@@ -113,58 +117,88 @@ def _setter(k: int):
         for batch in batches:
             for at in range(0, batch.num_rows, 500):
                 part = batch.slice(at, 500)
-                sets = [shingles(t.as_py(), k, memo).view(np.int64) for t in part.column(1)]
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sets, pa.list_(pa.int64()))], names=["cls", "shingles"])
+                sets = [shingles(t.as_py(), k, memo) for t in part.column(0)]
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array([xxhash.xxh3_128_digest(x.tobytes()) for x in sets], pa.binary()), pa.array([x.view(np.int64) for x in sets], pa.list_(pa.int64()))],
+                    names=["print", "shingles"],
+                )
 
     return run
 
 
 def sign(docs: DataFrame, k: int = 5, coords: int = 24) -> DataFrame:
-    """(doc_id, text_key, n, cls, sig) of every row: a digest of the text, shingle count, digest of the set, signature."""
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("text_key"), F.col("text").cast("string").alias("text"))
-    return rows.mapInArrow(_signer(k, coords), "doc_id long, text_key long, n long, cls binary, sig array<int>")
+    """(doc_id, n, print, sig) of every row: shingle count, digest of the set (null if it is empty), signature."""
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return rows.mapInArrow(_signer(k, coords), "doc_id long, n long, print binary, sig array<int>")
 
 
-def _postings(classes: DataFrame, coords: int, match: int) -> DataFrame:
-    """(e, cls, n): the rarest pairs of each class that matter, e a (coordinate, value) pair as one long."""
-    posted = classes.select("cls", "n", F.posexplode("sig").alias("at", "value")).select(
-        "cls", "n", F.shiftleft(F.col("at").cast("long"), 32).bitwiseOR(F.col("value").cast("long").bitwiseAND(F.lit(0xFFFFFFFF))).alias("e")
-    )
+def _postings(classes: DataFrame, match: int) -> DataFrame:
+    """(e, cls, n, long) of the rarest pairs of each class that matter and that two classes post at least; e is a (coordinate, value) pair as one long."""
+    pair = F.shiftleft(F.col("at").cast("long"), 32).bitwiseOR(F.col("value").cast("long").bitwiseAND(F.lit(0xFFFFFFFF)))
+    posted = classes.select("cls", "n", F.posexplode("sig").alias("at", "value")).select("cls", "n", pair.alias("e"))
     often = posted.groupBy("e").agg(F.count("*").alias("freq")).where("freq > 1")
     own = posted.join(often, "e").groupBy("cls", "n").agg(F.array_sort(F.collect_list(F.struct("freq", "e"))).alias("own"))  # at most coords a class
     prefix = own.where(F.size("own") >= match).select("cls", "n", F.explode(F.slice("own", F.lit(1), F.size("own") - match + 1)).alias("x"))
-    return prefix.select(F.col("x.e").alias("e"), "cls", "n")
+    prefix = settle(prefix.select(F.col("x.e").alias("e"), "cls", "n"), "prefix")
+    lengths = prefix.groupBy("e").agg(F.count("*").alias("members")).where("members > 1")
+    return prefix.join(lengths, "e").select("e", "cls", "n", (F.col("members") > LONG).alias("long"))
 
 
-def _survivors(pairs: DataFrame, classes: DataFrame, match: int, num: int, den: int) -> DataFrame:
-    """(a, b) of distinct pairs whose set sizes allow the threshold and whose signatures collide often enough."""
-    fit = pairs.where((F.lit(den) * F.least("na", "nb") >= F.lit(num) * F.greatest("na", "nb")))
-    fit = fit.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    sig = classes.select("cls", "sig")
-    met = fit.join(sig.toDF("a", "sa"), "a").join(sig.toDF("b", "sb"), "b")
+def _sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
+    """(cls, shingles) of the wanted classes (cls, print, doc_id), from one document of each."""
+    some = F.coalesce(F.col("doc_id").cast("long"), F.lit(-1)).alias("some_id")
+    ids = wanted.select(some).distinct()
+    ids = F.broadcast(ids) if wanted.count() <= BROADCAST_IDS else ids
+    texts = docs.select(some, F.col("text").cast("string").alias("text")).join(ids, "some_id").select("text")
+    found = texts.mapInArrow(_setter(k), "print binary, shingles array<long>")
+    return found.join(wanted.select("cls", "print"), "print").select("cls", "shingles").dropDuplicates(["cls"])
+
+
+def _cover(lists: DataFrame, sets: DataFrame) -> DataFrame:
+    """(cls, only): for members of long lists, the number of their shingles that no other member of a long list has."""
+    own = sets.join(lists.where("long").select("cls").distinct(), "cls").select("cls", F.explode("shingles").alias("h"))
+    lone = own.groupBy("h").agg(F.count("*").alias("c"), F.min("cls").alias("cls")).where("c = 1")
+    return lone.groupBy("cls").agg(F.count("*").alias("only"))
+
+
+def _confirmed(pairs: DataFrame, classes: DataFrame, sets: DataFrame, match: int, num: int, den: int) -> DataFrame:
+    """(u, v) of those pairs (a, b) whose sizes allow the threshold, whose signatures collide often enough and whose full sets reach it."""
+    pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    sig = classes.select("cls", "n", "sig")
+    met = pairs.join(sig.toDF("a", "na", "sa"), "a").join(sig.toDF("b", "nb", "sb"), "b").where(F.lit(den) * F.least("na", "nb") >= F.lit(num) * F.greatest("na", "nb"))
     same = F.aggregate(F.zip_with("sa", "sb", lambda x, y: (x == y).cast("int")), F.lit(0), lambda s, x: s + x)
-    return met.where(same >= match).select("a", "b")
-
-
-def _confirmed(pairs: DataFrame, docs: DataFrame, classes: DataFrame, k: int, num: int, den: int) -> DataFrame:
-    """Those pairs whose full shingle sets reach num/den."""
-    pairs = settle(pairs, "pairs")
-    spark = pairs.sparkSession
-    wanted = pairs.select(F.col("a").alias("cls")).union(pairs.select("b")).distinct().join(classes.select("cls", "text_key", "doc_id"), "cls")
-    wanted = settle(wanted, "wanted")
-    small = wanted.count() <= BROADCAST_CLASSES
-    keys = wanted.select("cls", "text_key", F.coalesce("doc_id", F.lit(-1)).alias("key_id"))
-    keys = F.broadcast(keys) if small else keys
-    texts = docs.select(F.xxhash64("text").alias("text_key"), F.coalesce(F.col("doc_id").cast("long"), F.lit(-1)).alias("key_id"), F.col("text").cast("string").alias("text"))
-    found = texts.join(keys, ["text_key", "key_id"]).select("cls", "text")
-    sets = settle(found.mapInArrow(_setter(k), "cls binary, shingles array<long>").dropDuplicates(["cls"]), "sets")
-    both = pairs.join(sets.toDF("a", "sa"), "a").join(sets.toDF("b", "sb"), "b")
+    likely = settle(met.where(same >= match).select("a", "b"), "likely")
+    both = likely.join(sets.toDF("a", "sa"), "a").join(sets.toDF("b", "sb"), "b")
     met = both.select("a", "b", F.size(F.array_intersect("sa", "sb")).alias("inter"), (F.size("sa") + F.size("sb")).alias("total"))
-    del spark
     return met.where(F.lit(den) * F.col("inter") >= F.lit(num) * (F.col("total") - F.col("inter"))).select(F.col("a").alias("u"), F.col("b").alias("v"))
 
 
-def near_duplicate_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, coords: int = 24, stars: int = 3, miss: float = 1e-8) -> DataFrame:
+def _star_pairs(member: DataFrame, turn: int) -> DataFrame:
+    """(a, b): each list's pivot, another in each turn, with its members of other components."""
+    mask = F.lit(int(np.random.default_rng(turn).integers(0, 2**62)))
+    lead = member.groupBy("e").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min(F.col("cls").bitwiseXOR(mask)).alias("p")).where("lo < hi")
+    pivot = lead.select("e", F.col("p").bitwiseXOR(mask).alias("a"))
+    if not turn:
+        return member.join(pivot, "e").where("cls <> a").select("a", F.col("cls").alias("b"))
+    own = member.join(pivot, "e").where("cls = a").select("e", "a", F.col("comp").alias("comp_a"))
+    return member.join(own, "e").where("comp <> comp_a").select("a", F.col("cls").alias("b"))
+
+
+def _rest_pairs(member: DataFrame, cover: DataFrame, num: int, den: int) -> DataFrame:
+    """(a, b): members outside the largest component of their list with members of other components there, where shared shingles could suffice."""
+    parts = member.groupBy("e", "comp").agg(F.count("*").alias("c"), F.min("n").alias("low"))
+    lead = parts.groupBy("e").agg(F.count("*").alias("parts"), F.max_by("comp", "c").alias("top"), F.min("low").alias("low")).where("parts > 1")
+    open_lists = member.join(lead.select("e", "top", "low"), "e").join(cover, "cls", "left")
+    most = F.when(F.col("long"), F.col("n") - F.coalesce("only", F.lit(0))).otherwise(F.col("n"))
+    enough = lambda shared, total: F.lit(num + den) * shared >= F.lit(num) * total  # noqa: E731  intersection against the sum of the sizes
+    open_lists = settle(open_lists.select("e", "cls", "comp", "n", "top", most.alias("most"), "low").where(enough(F.col("most"), F.col("n") + F.least("low", "n"))), "open")
+    rest = open_lists.where("comp <> top").select("e", F.col("cls").alias("a"), F.col("n").alias("na"), F.col("comp").alias("comp_a"), F.col("most").alias("most_a"))
+    full = open_lists.select("e", F.col("cls").alias("b"), F.col("n").alias("nb"), F.col("comp").alias("comp_b"), F.col("most").alias("most_b"), "top")
+    once = (F.col("comp_b") == F.col("top")) | (F.col("a") < F.col("b"))
+    return rest.join(full, "e").where((F.col("comp_a") != F.col("comp_b")) & once & enough(F.least("most_a", "most_b", "na", "nb"), F.col("na") + F.col("nb"))).select("a", "b")
+
+
+def near_duplicate_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, coords: int = 24, stars: int = 2, miss: float = 1e-8) -> DataFrame:
     """docs (doc_id, text) -> one row per document: (doc_id, n_shingles, component_id, kept).
 
     Linked: intersection / union of the shingle sets >= num / den. ``component_id`` is the least doc_id of the document's
@@ -174,37 +208,26 @@ def near_duplicate_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int =
     rows. Other columns of docs are ignored."""
     match = match_threshold(coords, num, den, miss)
     signed = settle(sign(docs, k, coords), "signed")
-    classes = settle(
-        signed.where("cls is not null").groupBy("cls").agg(
-            F.min(F.struct(F.col("doc_id").isNull().alias("z"), "doc_id", "text_key")).alias("rep"), F.first("n").alias("n"), F.first("sig").alias("sig")
-        ).select("cls", "rep.doc_id", "rep.text_key", "n", "sig"),
-        "classes",
-    )
-    lists = settle(_postings(classes, coords, match), "lists")
-    links = None
-    member = lists.withColumn("comp", F.col("cls"))
+    classes = signed.where("print is not null").groupBy("print").agg(F.min("doc_id").alias("doc_id"), F.first("n").alias("n"), F.first("sig").alias("sig"))
+    classes = settle(classes.withColumn("cls", F.monotonically_increasing_id()), "classes")
+    lists = settle(_postings(classes, match), "lists")
+    sets = settle(_sets(docs, classes.join(lists.select("cls").distinct(), "cls").select("cls", "print", "doc_id"), k), "sets")
+    links = roots = None
     for turn in range(stars + 1):
-        spread = member.groupBy("e", "comp").agg(F.count("*").alias("c"), F.min(F.struct(F.xxhash64("cls", F.lit(turn)).alias("o"), "cls", "n")).alias("p"))
-        lead = spread.groupBy("e").agg(F.count("*").alias("parts"), F.max(F.struct("c", "comp")).alias("top"), F.min("p").alias("p")).where("parts > 1")
-        if turn < stars:  # a pivot of each list against its other members
-            pivot = lead.select("e", F.col("p.cls").alias("a"), F.col("p.n").alias("na"))
-            pairs = member.join(pivot, "e").where("cls <> a").select("a", "na", F.col("cls").alias("b"), F.col("n").alias("nb"), "comp")
-            if turn:  # a pair inside one component settles nothing
-                own = roots.toDF("a", "root_a")
-                pairs = pairs.join(own, "a", "left").where(F.coalesce("root_a", "a") != F.col("comp"))
-        else:  # what is outside the largest component of a list, against all other components there
-            open_lists = settle(member.join(lead.select("e", F.col("top.comp").alias("top")), "e"), "open")
-            rest = open_lists.where("comp <> top").select("e", F.col("cls").alias("a"), F.col("n").alias("na"), F.col("comp").alias("comp_a"))
-            full = open_lists.select("e", F.col("cls").alias("b"), F.col("n").alias("nb"), F.col("comp").alias("comp_b"))
-            pairs = rest.join(full, "e").where("comp_a <> comp_b")
-        pairs = pairs.select("a", "na", "b", "nb")
-        new = settle(_confirmed(_survivors(pairs, classes, match, num, den), docs, classes, k, num, den), "links")
+        if roots is None:
+            member = lists.withColumn("comp", F.col("cls"))
+        else:
+            member = settle(lists.join(roots.toDF("cls", "root"), "cls", "left").select("e", "cls", "n", "long", F.coalesce("root", "cls").alias("comp")), "member")
+        if turn < stars:
+            pairs = _star_pairs(member.where("long") if turn else member, turn)
+        else:
+            pairs = _rest_pairs(member, _cover(lists, sets), num, den)
+        new = settle(_confirmed(pairs, classes, sets, match, num, den), "links")
         links = new if links is None else links.union(new)
         roots = settle(connected_components(links), "roots")
-        member = lists.join(roots.toDF("cls", "root"), "cls", "left").select("e", "cls", "n", F.coalesce("root", "cls").alias("comp"))
-    grouped = classes.join(roots.toDF("cls", "root"), "cls", "left").select("cls", "doc_id", F.coalesce("root", "cls").alias("comp"))
+    grouped = classes.join(roots.toDF("cls", "root"), "cls", "left").select("print", "doc_id", F.coalesce("root", "cls").alias("comp"))
     least = grouped.groupBy("comp").agg(F.min("doc_id").alias("component_id"))
-    named = grouped.join(least, "comp").select("cls", "component_id")
-    return signed.join(named, "cls", "left").select(
-        "doc_id", F.col("n").alias("n_shingles"), F.when(F.col("cls").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id")
+    named = grouped.join(least, "comp").select("print", "component_id")
+    return signed.join(named, "print", "left").select(
+        "doc_id", F.col("n").alias("n_shingles"), F.when(F.col("print").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id")
     ).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
