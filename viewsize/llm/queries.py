@@ -37,6 +37,12 @@ def op5_vector_bin_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shard_documents(load(spark, sf_dir, "documents"), shards=40)
 
 
+def op7_block_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .mixing import mixture_report
+
+    return mixture_report(load(spark, sf_dir, "documents"))
+
+
 def op9_toxicity_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Trained on labelled rows whose crc32(doc_id) mod 5 is not 0; every document is scored."""
     from . import toxicity
@@ -47,7 +53,7 @@ def op9_toxicity_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_language_id, op3_pairwise_quality, op5_vector_bin_packing, op9_toxicity_chain, op10_minhash_inverted_join)}
+    return {f.__name__: f for f in (op1_language_id, op3_pairwise_quality, op5_vector_bin_packing, op7_block_mixture, op9_toxicity_chain, op10_minhash_inverted_join)}
 
 
 def oracle_sql() -> dict:
