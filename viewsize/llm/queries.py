@@ -43,6 +43,12 @@ def op7_block_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixture_report(load(spark, sf_dir, "documents"))
 
 
+def op8_variable_best_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .packing import pack_documents
+
+    return pack_documents(load(spark, sf_dir, "documents"))
+
+
 def op9_toxicity_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Trained on labelled rows whose crc32(doc_id) mod 5 is not 0; every document is scored."""
     from . import toxicity
@@ -53,7 +59,7 @@ def op9_toxicity_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_language_id, op3_pairwise_quality, op5_vector_bin_packing, op7_block_mixture, op9_toxicity_chain, op10_minhash_inverted_join)}
+    return {f.__name__: f for f in (op1_language_id, op3_pairwise_quality, op5_vector_bin_packing, op7_block_mixture, op8_variable_best_fit, op9_toxicity_chain, op10_minhash_inverted_join)}
 
 
 def oracle_sql() -> dict:
