@@ -134,7 +134,7 @@ def identify(docs: DataFrame, model: LanguageModel, extra: dict[str, Column] | N
     language. Null, empty and letterless texts: 'und' with score 0. Ties go to the language first in code-point order. Equal texts
     get equal results; repeated rows and null ids pass through; other columns of docs are ignored."""
     extra = extra or {}
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *(c.alias(n) for n, c in extra.items()), F.col("text").cast("string").alias("text"))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *(c.alias(n) for n, c in extra.items()), F.col("text").cast("string").alias("input_text"))
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):

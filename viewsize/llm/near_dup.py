@@ -98,14 +98,14 @@ def _signer(k: int, coords: int):
         memo = _WordHash()
         for batch in batches:
             n, prints, sigs = [], [], []
-            for text in batch.column(1):
+            for text in batch.column(2):
                 h = shingles(text.as_py(), k, memo)
                 n.append(len(h))
                 prints.append(xxhash.xxh3_128_digest(h.tobytes()) if len(h) else None)
                 sigs.append(signature(h, coords) if len(h) else None)
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(n, pa.int64()), pa.array(prints, pa.binary()), pa.array(sigs, pa.list_(pa.int32()))],
-                names=["doc_id", "n", "print", "sig"],
+                [batch.column(0), batch.column(1), pa.array(n, pa.int64()), pa.array(prints, pa.binary()), pa.array(sigs, pa.list_(pa.int32()))],
+                names=["doc_id", "text_key", "n", "print", "sig"],
             )
 
     return run
@@ -127,9 +127,10 @@ def _setter(k: int):
 
 
 def sign(docs: DataFrame, k: int = 5, coords: int = 24) -> DataFrame:
-    """(doc_id, n, print, sig) of every row: shingle count, digest of the set (null if it is empty), signature."""
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return rows.mapInArrow(_signer(k, coords), "doc_id long, n long, print binary, sig array<int>")
+    """(doc_id, text_key, n, print, sig) of every row: hash of the text, shingle count, digest of the set (null if it is empty), signature."""
+    text = F.col("text").cast("string")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("text_key"), text.alias("text"))
+    return rows.mapInArrow(_signer(k, coords), "doc_id long, text_key long, n long, print binary, sig array<int>")
 
 
 def _postings(classes: DataFrame, match: int) -> DataFrame:
@@ -199,7 +200,7 @@ def _rest_pairs(member: DataFrame, cover: DataFrame, num: int, den: int) -> Data
 
 
 def near_duplicate_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, coords: int = 24, stars: int = 2, miss: float = 1e-8) -> DataFrame:
-    """docs (doc_id, text) -> one row per document: (doc_id, n_shingles, component_id, kept).
+    """docs (doc_id, text) -> one row per document: (doc_id, n_shingles, component_id, kept, text_key), the last a hash of the text.
 
     Linked: intersection / union of the shingle sets >= num / den. ``component_id`` is the least doc_id of the document's
     component, ``kept`` marks it. Null, empty and blank texts have no shingles and stay alone; equal texts are always
@@ -229,5 +230,15 @@ def near_duplicate_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int =
     least = grouped.groupBy("comp").agg(F.min("doc_id").alias("component_id"))
     named = grouped.join(least, "comp").select("print", "component_id")
     return signed.join(named, "print", "left").select(
-        "doc_id", F.col("n").alias("n_shingles"), F.when(F.col("print").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id")
+        "doc_id", F.col("n").alias("n_shingles"), F.when(F.col("print").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"), "text_key"
     ).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
+
+
+def drop_near_duplicates(docs: DataFrame, **how) -> DataFrame:
+    """The rows of docs, with all their columns, that their groups keep: one of each group. Of repeated rows one stays; texts without words all stay, but for repeated rows."""
+    kept = settle(near_duplicate_groups(docs, **how).where("kept").select(F.col("doc_id").alias("kept_id"), F.col("text_key").alias("kept_key")), "kept")
+    once = kept.distinct()
+    own = docs.join(once, F.col("doc_id").cast("long").eqNullSafe(F.col("kept_id")) & (F.xxhash64(F.col("text").cast("string")) == F.col("kept_key")), "left_semi")
+    if kept.count() == once.count():
+        return own
+    return own.withColumn("kept_key", F.xxhash64(F.col("text").cast("string"))).dropDuplicates(["doc_id", "kept_key"]).drop("kept_key")

@@ -122,7 +122,7 @@ def rate(docs: DataFrame, model: QualityModel, extra: dict[str, Column] | None =
     """One row per document: (doc_id, <extra>, score, predicted); predicted is 1 from the model's cut on. Null texts count as
     empty, which are scored like any other; equal texts score alike; repeated rows and null ids pass through; other columns are ignored."""
     extra = extra or {}
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *(c.alias(n) for n, c in extra.items()), F.col("text").cast("string").alias("text"))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *(c.alias(n) for n, c in extra.items()), F.col("text").cast("string").alias("input_text"))
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):

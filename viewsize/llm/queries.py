@@ -10,7 +10,7 @@ from .common import in_fold, load
 def op10_minhash_inverted_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .near_dup import near_duplicate_groups
 
-    return near_duplicate_groups(load(spark, sf_dir, "documents"), k=3, num=85, den=100)
+    return near_duplicate_groups(load(spark, sf_dir, "documents"), k=3, num=85, den=100).drop("text_key")
 
 
 def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -153,7 +153,7 @@ def flag(docs: DataFrame, model: ChainModel, extra: dict[str, Column] | None = N
     toxic is 1 from the model's cut on. Null, empty and wordless texts are scored as texts without any word; equal texts score alike; repeated
     rows and null ids pass through; other columns are ignored."""
     extra = extra or {}
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *(c.alias(n) for n, c in extra.items()), F.col("text").cast("string").alias("text"))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *(c.alias(n) for n, c in extra.items()), F.col("text").cast("string").alias("input_text"))
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
