@@ -22,6 +22,12 @@ def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language_id.identify(docs, model, {"held_out": in_fold("doc_id", 4, 2)})
 
 
+def op2_media_archive(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .media import media_features
+
+    return media_features(load(spark, sf_dir, "documents"))
+
+
 def op3_pairwise_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Trained on labelled rows whose crc32(doc_id) mod 5 is not 0; every document is scored."""
     from . import quality
@@ -59,7 +65,7 @@ def op9_toxicity_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_language_id, op3_pairwise_quality, op5_vector_bin_packing, op7_block_mixture, op8_variable_best_fit, op9_toxicity_chain, op10_minhash_inverted_join)}
+    return {f.__name__: f for f in (op1_language_id, op2_media_archive, op3_pairwise_quality, op5_vector_bin_packing, op7_block_mixture, op8_variable_best_fit, op9_toxicity_chain, op10_minhash_inverted_join)}
 
 
 def oracle_sql() -> dict:
