@@ -8,6 +8,8 @@ import uuid
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..session import ship
+
 #: A word of a text: a run of anything but space, tab, line feed, vertical tab, form feed and carriage return.
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -28,6 +30,7 @@ def words(col: str | Column) -> Column:
 
 def scratch(spark: SparkSession) -> str:
     """A new folder under the shared checkpoint folder; one is set up only where the session names none."""
+    ship(spark)
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
         base = "file://" + tempfile.mkdtemp(prefix="viewsize-")
@@ -44,13 +47,9 @@ def settle(df: DataFrame, name: str = "table") -> DataFrame:
 
 
 def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
+    ship(spark)
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
-
-def cores(spark: SparkSession) -> int:
-    return max(1, spark.sparkContext.defaultParallelism)
-
-
 def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, max_rows: int, seed: int) -> DataFrame:
     """(doc_id string, label int, text) of at most about ``max_rows`` labelled documents, half for each label 0 and 1 where there are
     enough, drawn by a keyed hash of the id. The drawn labels are bounded, so they are what is broadcast; texts are never shuffled."""
