@@ -43,6 +43,14 @@ def op5_vector_bin_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shard_documents(load(spark, sf_dir, "documents"), shards=40)
 
 
+def op6_pivot_distance_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Queries: the vectors whose id is divisible by 50, against all rows."""
+    from .topk import prepare, top_k
+
+    rows = prepare(load(spark, sf_dir, "embeddings"))
+    return top_k(rows, rows.where("vec_id % 50 = 0"), k=5)
+
+
 def op7_block_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .mixing import mixture_report
 
@@ -65,7 +73,7 @@ def op9_toxicity_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_language_id, op2_media_archive, op3_pairwise_quality, op5_vector_bin_packing, op7_block_mixture, op8_variable_best_fit, op9_toxicity_chain, op10_minhash_inverted_join)}
+    return {f.__name__: f for f in (op1_language_id, op2_media_archive, op3_pairwise_quality, op5_vector_bin_packing, op6_pivot_distance_topk, op7_block_mixture, op8_variable_best_fit, op9_toxicity_chain, op10_minhash_inverted_join)}
 
 
 def oracle_sql() -> dict:
