@@ -11,8 +11,9 @@ agree on ``match`` of ``coords`` coordinates must share one of the ``coords - ma
 Within a posting list pairs are not enumerated. A round compares all members with one pivot of their list; members already
 in one component need no further comparison. After the rounds, the members outside the largest component of a list are
 compared with the members of other components there, which makes the result exact for any list. In long lists that last
-step first counts, for each member, the shingles that any other member of a long list has: the intersection of two members
-is no larger than the smaller of these counts, so that most members of a group of much-edited copies pair with nothing.
+step first bounds what a member can share with another component, by its shingles that no other component has and by its
+difference from an anchor, the shingles that most of the list's largest component have; members close to the anchor are
+compared by these short differences, so that the strays of a large group of edited copies pair with nothing.
 Pairs at or above ``match`` collisions are confirmed on the full shingle sets.
 
 ``match`` follows from the threshold: the largest value that a pair exactly at the threshold misses with a chance below
@@ -39,6 +40,8 @@ _MEMO_WORDS = 300_000
 BROADCAST_IDS = 500_000
 #: Lists with more members than this are long.
 LONG = 16
+#: Members of a long list are described by their difference from an anchor if it has at most so many shingles.
+SHORT = 80
 
 
 class _WordHash(dict):
@@ -155,13 +158,6 @@ def _sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
     return found.join(wanted.select("cls", "print"), "print").select("cls", "shingles").dropDuplicates(["cls"])
 
 
-def _cover(lists: DataFrame, sets: DataFrame) -> DataFrame:
-    """(cls, only): for members of long lists, the number of their shingles that no other member of a long list has."""
-    own = sets.join(lists.where("long").select("cls").distinct(), "cls").select("cls", F.explode("shingles").alias("h"))
-    lone = own.groupBy("h").agg(F.count("*").alias("c"), F.min("cls").alias("cls")).where("c = 1")
-    return lone.groupBy("cls").agg(F.count("*").alias("only"))
-
-
 def _confirmed(pairs: DataFrame, classes: DataFrame, sets: DataFrame, match: int, num: int, den: int) -> DataFrame:
     """(u, v) of those pairs (a, b) whose sizes allow the threshold, whose signatures collide often enough and whose full sets reach it."""
     pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
@@ -185,18 +181,55 @@ def _star_pairs(member: DataFrame, turn: int) -> DataFrame:
     return member.join(own, "e").where("comp <> comp_a").select("a", F.col("cls").alias("b"))
 
 
-def _rest_pairs(member: DataFrame, cover: DataFrame, num: int, den: int) -> DataFrame:
-    """(a, b): members outside the largest component of their list with members of other components there, where shared shingles could suffice."""
-    parts = member.groupBy("e", "comp").agg(F.count("*").alias("c"), F.min("n").alias("low"))
-    lead = parts.groupBy("e").agg(F.count("*").alias("parts"), F.max_by("comp", "c").alias("top"), F.min("low").alias("low")).where("parts > 1")
-    open_lists = member.join(lead.select("e", "top", "low"), "e").join(cover, "cls", "left")
-    most = F.when(F.col("long"), F.col("n") - F.coalesce("only", F.lit(0))).otherwise(F.col("n"))
-    enough = lambda shared, total: F.lit(num + den) * shared >= F.lit(num) * total  # noqa: E731  intersection against the sum of the sizes
-    open_lists = settle(open_lists.select("e", "cls", "comp", "n", "top", most.alias("most"), "low").where(enough(F.col("most"), F.col("n") + F.least("low", "n"))), "open")
-    rest = open_lists.where("comp <> top").select("e", F.col("cls").alias("a"), F.col("n").alias("na"), F.col("comp").alias("comp_a"), F.col("most").alias("most_a"))
-    full = open_lists.select("e", F.col("cls").alias("b"), F.col("n").alias("nb"), F.col("comp").alias("comp_b"), F.col("most").alias("most_b"), "top")
-    once = (F.col("comp_b") == F.col("top")) | (F.col("a") < F.col("b"))
-    return rest.join(full, "e").where((F.col("comp_a") != F.col("comp_b")) & once & enough(F.least("most_a", "most_b", "na", "nb"), F.col("na") + F.col("nb"))).select("a", "b")
+def _bounds(long_lists: DataFrame, sets: DataFrame) -> DataFrame:
+    """long_lists (cls, comp, n, top) -> (cls, top, only, near, far, gone, more): what a member can share with members of other components.
+
+    ``only`` counts its shingles that no other component has. The anchor of component ``top`` is the set of shingles that most of its
+    members have (fewer than twice their mean number, so one row holds it); ``near`` counts the member's shingles in the anchor,
+    ``far`` the others that another component may have. Where a member differs from the anchor in few shingles, ``gone`` and ``more`` are
+    those it lacks and those it has beside it: two such members' intersection follows from these short arrays alone."""
+    members = long_lists.select("cls", "comp").distinct()
+    own = sets.join(members, "cls").select("cls", "comp", F.explode("shingles").alias("h"))
+    lone = settle(own.groupBy("h").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo = hi").select("h"), "lone")
+    only = own.join(lone, "h").groupBy("cls").agg(F.count("*").alias("only"))
+    sizes = members.groupBy("comp").agg(F.count("*").alias("size")).join(long_lists.select(F.col("top").alias("comp")).distinct(), "comp")
+    common = own.groupBy("comp", "h").agg(F.count("*").alias("c")).join(sizes, "comp").where("2 * c > size").select("comp", "h")
+    anchors = common.join(lone.withColumn("alone", F.lit(1)), "h", "left").groupBy("comp").agg(F.collect_list("h").alias("anchor"), F.count("alone").alias("inside"))
+    pairs = long_lists.select("cls", "comp", "n", "top").distinct().join(anchors.withColumnRenamed("comp", "top"), "top").join(only, "cls", "left").na.fill(0, ["only"])
+    met = pairs.join(sets, "cls").withColumn("near", F.size(F.array_intersect("shingles", "anchor")).cast("long"))
+    inside = F.when(F.col("comp") == F.col("top"), F.col("inside")).otherwise(F.lit(0))  # so many of ``only`` at most may be the anchor's too
+    gone, more = F.array_except("anchor", "shingles"), F.array_except("shingles", "anchor")
+    short = (F.size("anchor") + F.size("shingles") - 2 * F.col("near")) <= SHORT
+    return met.select(
+        "cls", "top", "only", "near", (F.col("n") - F.col("near") - F.greatest(F.lit(0), F.col("only") - inside)).alias("far"),
+        F.when(short, gone).alias("gone"), F.when(short, more).alias("more"), F.size("anchor").cast("long").alias("kernel"),
+    )
+
+
+def _rest_pairs(member: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
+    """(a, b): members outside the largest component of their list with members of other components there, where what they can share suffices.
+
+    In long lists the intersection is bounded by the shingles of either that other components have, and by what both share with one
+    anchor plus what either has beside it. Shingles that only one component has are in no such intersection and in every union."""
+    parts = member.groupBy("e", "comp").agg(F.count("*").alias("c"))
+    lead = parts.groupBy("e").agg(F.count("*").alias("parts"), F.max_by("comp", "c").alias("top")).where("parts > 1").select("e", "top")
+    open_lists = settle(member.join(lead, "e"), "open")
+    bounds = settle(_bounds(open_lists.where("long"), sets), "bounds")
+    n, none = F.col("n"), F.lit(None).cast("array<bigint>")
+    known = open_lists.where("not long").select(
+        "e", "cls", "comp", "n", "top", F.lit(0).cast("long").alias("x"), n.alias("near"), n.alias("far"), none.alias("gone"), none.alias("more"), n.alias("kernel")
+    ).union(open_lists.where("long").join(bounds, ["cls", "top"]).select("e", "cls", "comp", "n", "top", F.col("only").alias("x"), "near", "far", "gone", "more", "kernel"))
+    known = known.where(F.lit(den) * (n - F.col("x")) >= F.lit(num) * n)
+    cols = ("cls", "comp", "n", "x", "near", "far", "gone", "more")
+    rest = known.where("comp <> top").select("e", *(F.col(c).alias(f"{c}_a") for c in cols))
+    full = known.select("e", "top", "kernel", *(F.col(c).alias(f"{c}_b") for c in cols))
+    most = F.least(F.col("n_a") - F.col("x_a"), F.col("n_b") - F.col("x_b"), F.least("near_a", "near_b") + F.least("far_a", "far_b"))
+    union = F.greatest(F.col("n_a") + F.col("n_b") - most, most + F.col("x_a") + F.col("x_b"))
+    both = F.col("kernel") - F.size("gone_a") - F.size("gone_b") + F.size(F.array_intersect("gone_a", "gone_b")) + F.size(F.array_intersect("more_a", "more_b"))
+    fits = F.when(F.col("gone_a").isNull() | F.col("gone_b").isNull(), F.lit(True)).otherwise(F.lit(den) * both >= F.lit(num) * (F.col("n_a") + F.col("n_b") - both))
+    once = (F.col("comp_b") == F.col("top")) | (F.col("cls_a") < F.col("cls_b"))
+    met = rest.join(full, "e").where((F.col("comp_a") != F.col("comp_b")) & once & (F.lit(den) * most >= F.lit(num) * union) & fits)
+    return met.select(F.col("cls_a").alias("a"), F.col("cls_b").alias("b"))
 
 
 def near_duplicate_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, coords: int = 24, stars: int = 2, miss: float = 1e-8) -> DataFrame:
@@ -213,7 +246,7 @@ def near_duplicate_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int =
     classes = settle(classes.withColumn("cls", F.monotonically_increasing_id()), "classes")
     lists = settle(_postings(classes, match), "lists")
     sets = settle(_sets(docs, classes.join(lists.select("cls").distinct(), "cls").select("cls", "print", "doc_id"), k), "sets")
-    links = roots = None
+    links = roots = None  # of the turns so far
     for turn in range(stars + 1):
         if roots is None:
             member = lists.withColumn("comp", F.col("cls"))
@@ -222,10 +255,10 @@ def near_duplicate_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int =
         if turn < stars:
             pairs = _star_pairs(member.where("long") if turn else member, turn)
         else:
-            pairs = _rest_pairs(member, _cover(lists, sets), num, den)
+            pairs = _rest_pairs(member, sets, num, den)
         new = settle(_confirmed(pairs, classes, sets, match, num, den), "links")
         links = new if links is None else links.union(new)
-        roots = settle(connected_components(links), "roots")
+        roots = settle(connected_components(links), "roots")  # (node, root)
     grouped = classes.join(roots.toDF("cls", "root"), "cls", "left").select("print", "doc_id", F.coalesce("root", "cls").alias("comp"))
     least = grouped.groupBy("comp").agg(F.min("doc_id").alias("component_id"))
     named = grouped.join(least, "comp").select("print", "component_id")
