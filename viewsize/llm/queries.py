@@ -37,6 +37,13 @@ def op3_pairwise_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.rate(docs, model, {"held_out": in_fold("doc_id", 5, 0)})
 
 
+def op4_dom_boosted_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import html_text
+
+    pages = load(spark, sf_dir, "pages")
+    return html_text.extract(pages, html_text.train(pages))
+
+
 def op5_vector_bin_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .sharding import shard_documents
 
@@ -73,7 +80,7 @@ def op9_toxicity_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_language_id, op2_media_archive, op3_pairwise_quality, op5_vector_bin_packing, op6_pivot_distance_topk, op7_block_mixture, op8_variable_best_fit, op9_toxicity_chain, op10_minhash_inverted_join)}
+    return {f.__name__: f for f in (op1_language_id, op2_media_archive, op3_pairwise_quality, op4_dom_boosted_text, op5_vector_bin_packing, op6_pivot_distance_topk, op7_block_mixture, op8_variable_best_fit, op9_toxicity_chain, op10_minhash_inverted_join)}
 
 
 def oracle_sql() -> dict:
