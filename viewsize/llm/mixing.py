@@ -154,7 +154,8 @@ def mix_rows(docs: DataFrame, block: int = 512, most: float = 3.0, seed: int = 1
     rows = rows.withColumn("start", F.sum("size").over(within) - F.col("size")).join(base, ["source_no", "chunk"])
     rows = settle(rows.withColumn("start", F.col("start") + F.col("base")).drop("base", "chunk", "chunks", "text_key"), "streams")
     shards = spark.range(0, plan.shards if sum(plan.slots) else 0, numPartitions=max(1, min(plan.shards, 20_000)))
-    draws = shards.mapInArrow(_drawer(plan), "shard long, source_no int, slot long, epoch int, block long, take long")
+    # Written first: from a few shard numbers the planner would guess a side small enough to broadcast.
+    draws = settle(shards.mapInArrow(_drawer(plan), "shard long, source_no int, slot long, epoch int, block long, take long"), "draws")
     b = F.lit(block)
     part = rows.where("size > 0").select(
         "n", "source_no", "start", "size", F.explode(F.sequence(F.floor(F.col("start") / b).cast("long"), F.floor((F.col("start") + F.col("size") - 1) / b).cast("long"))).alias("block")
