@@ -13,6 +13,7 @@ from viewsize.llm.common import load, settle
 from viewsize.llm.mixing import mix_documents
 from viewsize.llm.near_dup import drop_near_duplicates
 from viewsize.llm.packing import pack_documents
+from viewsize.session import ship
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 #: A document whose language is predicted with less than this calibrated probability is rejected, as is one without a letter.
@@ -24,11 +25,13 @@ def _own(docs: DataFrame) -> dict:
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    ship(spark)
     found = language_id.identify(docs, language_id.train(docs), _own(docs))
     return found.where((F.col("lang_pred") != language_id.UNDETERMINED) & (F.col("score") >= LEAST_LANGUAGE_SCORE)).select(*COLUMNS)
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    ship(spark)
     model = toxicity.train(docs, load(spark, sf_dir, "labels"))
     return toxicity.flag(docs, model, _own(docs)).where("toxic = 0").select(*COLUMNS)
 
