@@ -118,8 +118,8 @@ def train(labelled: DataFrame, max_rows: int = 3000, seed: int = 7, **ftrl) -> L
     code = {lang: i for i, lang in enumerate(langs)}
     data, y = [], []
     for r in sorted(((r["lang"], bytes(r["buckets"]), bytes(r["counts"])) for r in sample if len(r["buckets"]))):
-        at = np.frombuffer(r[1], np.uint16).astype(np.int64)
-        data.append((at, model.vector(at, np.frombuffer(r[2], np.uint16).astype(np.float64))))
+        at = np.frombuffer(r[1], np.uint16).astype(np.int32)
+        data.append((at, model.vector(at, np.frombuffer(r[2], np.uint16).astype(np.float64)).astype(np.float32)))
         y.append(code[r[0]])
     y, held = np.array(y, np.int64), np.arange(len(y)) % 5 == 4
     fit = FtrlSoftmax(1 << BITS, len(langs), **ftrl).fit([d for d, h in zip(data, held) if not h], y[~held], seed=seed)

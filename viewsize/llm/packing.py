@@ -97,12 +97,15 @@ def _pack(sizes: list[int], counts: dict[int, int], allowed: tuple[int, ...], co
                 end, rank, left = end + bins, rank + bins * each, left - bins * each
                 continue
             room, (lo, hi, used) = found
-            take = min(left, hi - lo)
-            runs.append((size, rank, take, lo, 1, used))
-            open_.add(room - size, (lo, lo + take, used + size))
-            if lo + take < hi:
-                open_.add(room, (lo + take, hi, used))
-            rank, left = rank + take, left - take
+            each = room // size  # a bin that can take another of the same size is then the tightest
+            bins = min(hi - lo, left // each)
+            if not bins:
+                each, bins = left, 1
+            runs.append((size, rank, bins * each, lo, each, used))
+            open_.add(room - each * size, (lo, lo + bins, used + each * size))
+            if lo + bins < hi:
+                open_.add(room, (lo + bins, hi, used))
+            rank, left = rank + bins * each, left - bins * each
     bins = sorted((lo, hi, used, capacities[bisect_left(capacities, used)]) for held in open_.by_room.values() for lo, hi, used in held)
     return runs, bins, float(sum((hi - lo) * costs[c] for lo, hi, _, c in bins))
 

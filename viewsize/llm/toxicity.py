@@ -94,11 +94,11 @@ class ChainModel:
         return out
 
 
-def _select(tallies: list[Counter], y: np.ndarray, keep: int, least_share: float) -> tuple[dict[str, int], frozenset]:
+def _select(texts: list[str | None], y: np.ndarray, keep: int, least_share: float) -> tuple[dict[str, int], frozenset]:
     """The ``keep`` tokens most tied to the label among those in ``least_share`` of its rows at least; and those of them that point to it nearly always."""
     pos, neg = Counter(), Counter()
-    for t, label in zip(tallies, y):
-        (pos if label else neg).update(t.keys())
+    for t, label in zip(texts, y):
+        (pos if label else neg).update(tokens(t)[0].keys())
     n1, n0 = max(1, int(y.sum())), max(1, int((1 - y).sum()))
     odds = {t: (c / n1, neg[t] / n0) for t, c in pos.items() if c >= max(3, least_share * n1)}
     ranked = sorted(odds, key=lambda t: (-abs(odds[t][0] - odds[t][1]) / np.sqrt(0.5 * sum(odds[t]) / max(n1, n0)), t))[:keep]
@@ -113,10 +113,9 @@ def fit(texts: list[str | None], y: np.ndarray, keep: int = 300, least_share: fl
         flat[-1] = 20.0 if len(y) and y.max() == 1 else -20.0
         pads = [np.insert(flat, 0, np.zeros(i)) for i in range(len(CATEGORIES))]
         return ChainModel({}, frozenset(), pads, CATEGORIES, 0.5)
-    parsed = [tokens(t) for t in texts]
-    features, picked = _select([t for t, _ in parsed], y, keep, least_share)
+    features, picked = _select(texts, y, keep, least_share)
     model = ChainModel(features, picked, [], CATEGORIES, 0.5)
-    x = np.array([model.row(*p) for p in parsed])
+    x = np.array([model.row(*tokens(t)) for t in texts])  # read again: the counts of all texts at once would fill the memory
     hit = x[:, -1] > 0
     targets = [hit.astype(int), (hit & (x[:, -3] >= np.log1p(2))).astype(int), y]
     fold = np.array([xxhash.xxh32_intdigest((t or "").encode("utf-8", "surrogatepass")) % folds for t in texts])
