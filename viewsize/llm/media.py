@@ -148,12 +148,35 @@ class ByteRange(InputPartition):
     archive: str
     start: int
     end: int
-    size: int
 
 
-def _members(handle, size: int, start: int, end: int) -> list[tuple[str, int, int, int]]:
+class _Reading(io.RawIOBase):
+    """A file of any file system as ZipFile expects one: a seek before the start is an OSError."""
+
+    def __init__(self, handle):
+        self.handle = handle
+
+    def readable(self) -> bool:
+        return True
+
+    def seekable(self) -> bool:
+        return True
+
+    def read(self, n: int = -1) -> bytes:
+        return self.handle.read(None if n is None or n < 0 else n)
+
+    def tell(self) -> int:
+        return self.handle.tell()
+
+    def seek(self, at: int, whence: int = 0) -> int:
+        if (at if whence == 0 else at + (self.handle.tell() if whence == 1 else self.handle.size())) < 0:
+            raise OSError("before the start")
+        return self.handle.seek(at, whence)
+
+
+def _members(handle, start: int, end: int) -> list[tuple[str, int, int, int]]:
     """(name, offset, stored bytes, crc) of the members whose header starts in [start, end), from the central directory."""
-    with zipfile.ZipFile(handle) as z:
+    with zipfile.ZipFile(_Reading(handle)) as z:
         return [(i.filename, i.header_offset, i.compress_size, i.CRC) for i in z.infolist() if start <= i.header_offset < end]
 
 
@@ -187,7 +210,7 @@ class ArchiveReader(DataSourceReader):
         else:
             infos = fs.get_file_info(pafs.FileSelector(base, allow_not_found=True))
             found = sorted((i.base_name, i.size) for i in infos if i.is_file and i.base_name.endswith(".zip"))
-        return [ByteRange(n, at, min(size, at + self.split), size) for n, size in found for at in range(0, size, self.split)] or [ByteRange("", 0, 0, 0)]
+        return [ByteRange(n, at, min(size, at + self.split)) for n, size in found for at in range(0, size, self.split)] or [ByteRange("", 0, 0)]
 
     def read(self, part: ByteRange) -> Iterator[pa.RecordBatch]:
         if not part.archive:
@@ -196,7 +219,7 @@ class ArchiveReader(DataSourceReader):
         path = f"{base}/{part.archive}"
         rows, held = [], 0
         with fs.open_input_file(path) as handle:
-            for name, offset, stored, crc in _members(handle, part.size, part.start, part.end):
+            for name, offset, stored, crc in _members(handle, part.start, part.end):
                 media, error = None, None
                 for attempt in range(self.attempts):
                     try:
