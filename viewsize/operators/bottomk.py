@@ -42,8 +42,8 @@ def gc_state(rows: DataFrame, M: int, L: int, plan: str = "native", key: str = "
     while True:
         share = F.least(F.lit(1.0), F.lit(factor * M) / F.col("guess"))
         bound = F.floor(share * F.lit(float(2**L)) - F.lit(float(2**63) if L == 64 else 0.0))
-        limit = F.when(share >= 1.0, F.lit(2**63 - 1)).otherwise(bound.cast("bigint"))
-        found = own.join(F.broadcast(guess), list(KEYS)).where(F.col("h") < limit).select("view_id", "seed", "h", "key").distinct()
+        low = (share >= 1.0) | (F.col("h") < F.when(share < 1.0, bound.cast("bigint")))
+        found = own.join(F.broadcast(guess), list(KEYS)).where(low).select("view_id", "seed", "h", "key").distinct()
         short = found.groupBy(*KEYS).agg(F.count("*").alias("c")).join(guess, list(KEYS), "right")
         short = short.where((F.coalesce("c", F.lit(0)) < M) & (F.lit(factor * M) < F.col("guess")))
         if not short.limit(1).count():
