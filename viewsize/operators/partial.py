@@ -1,36 +1,55 @@
-"""Bounded partial states of the sample-type sketches, kept by each task over Arrow batches: what a task sends on is at most M rows for each view and seed."""
+"""Bounded partial states of the sample-type sketches, kept by each task over Arrow batches: what a task sends on is at most M rows for each view and seed.
+
+A batch is compared with each view's bound as an array; only the rows that pass become Python values."""
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 
-COLUMNS = ["view_id", "seed", "h", "key"]
+SCHEMA = "view_id string, seed int, h long, key string"
+LEVELED_SCHEMA = "view_id string, seed int, key string, level int, level_floor int"
 
 
-def _groups(batch: pa.RecordBatch) -> list[tuple[tuple, pd.DataFrame]]:
-    pdf = batch.to_pandas()
-    return [(k, g) for k, g in pdf.groupby(["view_id", "seed"], sort=False)]
+def _views(batch: pa.RecordBatch) -> Iterator[tuple[tuple, np.ndarray]]:
+    """(view_id, seed) and row positions of each that the batch holds."""
+    view = batch.column("view_id").dictionary_encode()
+    seeds, seed = np.unique(batch.column("seed").to_numpy(), return_inverse=True)
+    names = view.dictionary.to_pylist()
+    code = view.indices.to_numpy() * len(seeds) + seed
+    order = np.argsort(code, kind="stable")
+    for own in np.split(order, np.flatnonzero(np.diff(code[order])) + 1):
+        if len(own):
+            c = int(code[own[0]])
+            yield (names[c // len(seeds)], int(seeds[c % len(seeds)])), own
 
 
 def bottom(M: int):
-    """Keeps the M smallest (h, key) of each view; rows above the M-th so far are rejected before anything else is done with them."""
+    """Keeps the M smallest (h, key) of each view. A view's rows gather up to twice M before they are cut, which also lowers its bound."""
 
     def run(batches):
-        held: dict[tuple, pd.DataFrame] = {}
+        held: dict[tuple, set] = {}
+        bound: dict[tuple, int] = {}
         for batch in batches:
-            for k, g in _groups(batch):
-                old = held.get(k)
-                if old is not None and len(old) == M:
-                    g = g[g["h"] <= old["h"].iloc[-1]]
-                    if not len(g):
-                        continue
-                g = g.drop_duplicates(["h", "key"])
-                g = g if old is None else pd.concat([old, g], ignore_index=True).drop_duplicates(["h", "key"])
-                held[k] = g.sort_values(["h", "key"], kind="stable").head(M)
-        for g in held.values():
-            yield pa.RecordBatch.from_pandas(g[COLUMNS], preserve_index=False)
+            h, key = batch.column("h").to_numpy(), batch.column("key")
+            for view, own in _views(batch):
+                if (limit := bound.get(view)) is not None:
+                    own = own[h[own] <= limit]
+                if not len(own):
+                    continue
+                mine = held.setdefault(view, set())
+                mine.update(zip(h[own].tolist(), key.take(pa.array(own)).to_pylist()))
+                if len(mine) > 2 * M:
+                    low = sorted(mine)[:M]
+                    held[view], bound[view] = set(low), low[-1][0]
+        for (view, seed), mine in held.items():
+            low = sorted(mine)[:M]
+            n = len(low)
+            yield pa.RecordBatch.from_pydict({
+                "view_id": pa.array([view] * n, pa.string()), "seed": pa.array([seed] * n, pa.int32()), "h": pa.array([x[0] for x in low], pa.int64()), "key": pa.array([x[1] for x in low], pa.string()),
+            })
 
     return run
 
@@ -42,25 +61,23 @@ def leveled(M: int):
         held: dict[tuple, dict[str, int]] = {}
         floor: dict[tuple, int] = {}
         for batch in batches:
-            for k, g in _groups(batch):
-                own, f = held.setdefault(k, {}), floor.get(k, 0)
-                levels = g["h"].to_numpy()
-                at = np.flatnonzero(levels >= f)
-                own.update(zip(g["key"].to_numpy()[at].tolist(), levels[at].tolist()))
-                while len(own) > M:
+            level, key = batch.column("h").to_numpy(), batch.column("key")
+            for view, own in _views(batch):
+                mine, f = held.setdefault(view, {}), floor.setdefault(view, 0)
+                own = own[level[own] >= f]
+                if not len(own):
+                    continue
+                mine.update(zip(key.take(pa.array(own)).to_pylist(), level[own].tolist()))
+                while len(mine) > M:
                     f += 1
-                    own = {t: v for t, v in own.items() if v >= f}
-                held[k], floor[k] = own, f
-        for (view, seed), own in held.items():
-            own = own or {None: -1}
-            n = len(own)
+                    mine = {t: v for t, v in mine.items() if v >= f}
+                held[view], floor[view] = mine, f
+        for (view, seed), mine in held.items():
+            f, mine = floor[view, seed], mine or {None: -1}
+            n = len(mine)
             yield pa.RecordBatch.from_pydict({
-                "view_id": pa.array([view] * n, pa.string()), "seed": pa.array([seed] * n, pa.int32()), "key": pa.array(list(own), pa.string()),
-                "level": pa.array(list(own.values()), pa.int32()), "level_floor": pa.array([floor[view, seed]] * n, pa.int32()),
+                "view_id": pa.array([view] * n, pa.string()), "seed": pa.array([seed] * n, pa.int32()), "key": pa.array(list(mine), pa.string()),
+                "level": pa.array(list(mine.values()), pa.int32()), "level_floor": pa.array([f] * n, pa.int32()),
             })
 
     return run
-
-
-SCHEMA = "view_id string, seed int, h long, key string"
-LEVELED_SCHEMA = "view_id string, seed int, key string, level int, level_floor int"

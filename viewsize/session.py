@@ -11,14 +11,12 @@ from pyspark.sql import SparkSession
 _SHIPPED: set[str] = set()
 
 
-#: Runtime settings of the session that bound what a Python worker holds at once; lower ones are left alone.
-BATCH_ROWS, BATCH_BYTES = 1000, 8 << 20
+#: A runtime setting of the session that bounds what a Python worker is handed at once; a lower one is left alone.
+BATCH_BYTES = 8 << 20
 
 
 def _bound_batches(spark: SparkSession) -> None:
-    rows, size = "spark.sql.execution.arrow.maxRecordsPerBatch", "spark.sql.execution.arrow.maxBytesPerBatch"
-    if not 0 < int(spark.conf.get(rows)) <= BATCH_ROWS:
-        spark.conf.set(rows, str(BATCH_ROWS))
+    size = "spark.sql.execution.arrow.maxBytesPerBatch"
     now = spark.conf.get(size)
     if not (now.rstrip("b").isdigit() and 0 < int(now.rstrip("b")) <= BATCH_BYTES):
         spark.conf.set(size, f"{BATCH_BYTES}b")
