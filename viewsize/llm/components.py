@@ -13,17 +13,22 @@ from pyspark.sql import functions as F
 from .common import settle
 
 
-def _large(edges: DataFrame) -> DataFrame:
+#: Edges to a task; steps over few edges run in few tasks, whatever the session's number of shuffle partitions.
+EDGES_A_TASK = 100_000
+
+
+def _large(edges: DataFrame, tasks: int) -> DataFrame:
     both = edges.select("u", "v").union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
     least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-    return both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
+    moved = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v")
+    return moved.coalesce(tasks).distinct().coalesce(tasks)
 
 
-def _small(edges: DataFrame) -> DataFrame:
+def _small(edges: DataFrame, tasks: int) -> DataFrame:
     down = edges.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))
     least = down.groupBy("u").agg(F.min("v").alias("m"))
     moved = down.join(least, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
-    return moved.union(least.select("u", F.col("m").alias("v"))).where("u <> v").distinct()
+    return moved.union(least.select("u", F.col("m").alias("v"))).where("u <> v").coalesce(tasks).distinct().coalesce(tasks)
 
 
 def connected_components(edges: DataFrame) -> DataFrame:
@@ -33,9 +38,9 @@ def connected_components(edges: DataFrame) -> DataFrame:
     seen = None
     while True:
         mark = now.agg(F.count("*").alias("n"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")).alias("h")).first()
+        tasks = -(-mark["n"] // EDGES_A_TASK) or 1
         if (mark["n"], mark["h"]) == seen or mark["n"] == 0:
-            return now.select(F.col("u").alias("node"), F.col("v").alias("root")).union(
-                now.select(F.col("v").alias("node"), F.col("v").alias("root"))
-            ).distinct()
+            both = now.select(F.col("u").alias("node"), F.col("v").alias("root")).union(now.select(F.col("v").alias("node"), F.col("v").alias("root")))
+            return both.coalesce(tasks).distinct().coalesce(tasks)
         seen = (mark["n"], mark["h"])
-        now = settle(_small(_large(now)), "edges")
+        now = settle(_small(_large(now.coalesce(tasks), tasks), tasks), "edges")

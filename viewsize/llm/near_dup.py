@@ -38,6 +38,8 @@ _STEP, _MIX = 0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9
 _MEMO_WORDS = 300_000
 #: At most so many document ids (8 bytes each) are broadcast; more are joined by shuffling.
 BROADCAST_IDS = 500_000
+#: Postings to a task in the steps over posting lists.
+POSTINGS_A_TASK = 20_000
 #: Lists with more members than this are long.
 LONG = 16
 #: Members of a long list are described by their difference from an anchor if it has at most so many shingles.
@@ -158,16 +160,16 @@ def _sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
     return found.join(wanted.select("cls", "print"), "print").select("cls", "shingles").dropDuplicates(["cls"])
 
 
-def _confirmed(pairs: DataFrame, classes: DataFrame, sets: DataFrame, match: int, num: int, den: int) -> DataFrame:
+def _confirmed(pairs: DataFrame, classes: DataFrame, sets: DataFrame, match: int, num: int, den: int, tasks: int) -> DataFrame:
     """(u, v) of those pairs (a, b) whose sizes allow the threshold, whose signatures collide often enough and whose full sets reach it."""
-    pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct().coalesce(tasks)
     sig = classes.select("cls", "n", "sig")
     met = pairs.join(sig.toDF("a", "na", "sa"), "a").join(sig.toDF("b", "nb", "sb"), "b").where(F.lit(den) * F.least("na", "nb") >= F.lit(num) * F.greatest("na", "nb"))
     same = F.aggregate(F.zip_with("sa", "sb", lambda x, y: (x == y).cast("int")), F.lit(0), lambda s, x: s + x)
-    likely = settle(met.where(same >= match).select("a", "b"), "likely")
+    likely = settle(met.where(same >= match).select("a", "b").coalesce(tasks), "likely")
     both = likely.join(sets.toDF("a", "sa"), "a").join(sets.toDF("b", "sb"), "b")
     met = both.select("a", "b", F.size(F.array_intersect("sa", "sb")).alias("inter"), (F.size("sa") + F.size("sb")).alias("total"))
-    return met.where(F.lit(den) * F.col("inter") >= F.lit(num) * (F.col("total") - F.col("inter"))).select(F.col("a").alias("u"), F.col("b").alias("v"))
+    return met.where(F.lit(den) * F.col("inter") >= F.lit(num) * (F.col("total") - F.col("inter"))).select(F.col("a").alias("u"), F.col("b").alias("v")).coalesce(tasks)
 
 
 def _star_pairs(member: DataFrame, turn: int) -> DataFrame:
@@ -181,7 +183,7 @@ def _star_pairs(member: DataFrame, turn: int) -> DataFrame:
     return member.join(own, "e").where("comp <> comp_a").select("a", F.col("cls").alias("b"))
 
 
-def _bounds(long_lists: DataFrame, sets: DataFrame) -> DataFrame:
+def _bounds(long_lists: DataFrame, sets: DataFrame, tasks: int) -> DataFrame:
     """long_lists (cls, comp, n, top) -> (cls, top, only, near, far, gone, more): what a member can share with members of other components.
 
     ``only`` counts its shingles that no other component has. The anchor of component ``top`` is the set of shingles that most of its
@@ -190,7 +192,7 @@ def _bounds(long_lists: DataFrame, sets: DataFrame) -> DataFrame:
     those it lacks and those it has beside it: two such members' intersection follows from these short arrays alone."""
     members = long_lists.select("cls", "comp").distinct()
     own = sets.join(members, "cls").select("cls", "comp", F.explode("shingles").alias("h"))
-    lone = settle(own.groupBy("h").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo = hi").select("h"), "lone")
+    lone = settle(own.groupBy("h").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo = hi").select("h").coalesce(tasks), "lone")
     only = own.join(lone, "h").groupBy("cls").agg(F.count("*").alias("only"))
     sizes = members.groupBy("comp").agg(F.count("*").alias("size")).join(long_lists.select(F.col("top").alias("comp")).distinct(), "comp")
     common = own.groupBy("comp", "h").agg(F.count("*").alias("c")).join(sizes, "comp").where("2 * c > size").select("comp", "h")
@@ -206,21 +208,22 @@ def _bounds(long_lists: DataFrame, sets: DataFrame) -> DataFrame:
     )
 
 
-def _rest_pairs(member: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
+def _rest_pairs(member: DataFrame, sets: DataFrame, num: int, den: int, tasks: int) -> DataFrame:
     """(a, b): members outside the largest component of their list with members of other components there, where what they can share suffices.
 
     In long lists the intersection is bounded by the shingles of either that other components have, and by what both share with one
     anchor plus what either has beside it. Shingles that only one component has are in no such intersection and in every union."""
     parts = member.groupBy("e", "comp").agg(F.count("*").alias("c"))
     lead = parts.groupBy("e").agg(F.count("*").alias("parts"), F.max_by("comp", "c").alias("top")).where("parts > 1").select("e", "top")
-    open_lists = settle(member.join(lead, "e"), "open")
-    bounds = settle(_bounds(open_lists.where("long"), sets), "bounds")
+    open_lists = settle(member.join(lead, "e").coalesce(tasks), "open")
+    shared = open_lists.groupBy("cls").agg(F.collect_list("e").alias("es"))  # at most coords a class; a pair is looked at in its first common list alone
+    bounds = settle(_bounds(open_lists.where("long"), sets, tasks).coalesce(tasks), "bounds")
     n, none = F.col("n"), F.lit(None).cast("array<bigint>")
     known = open_lists.where("not long").select(
         "e", "cls", "comp", "n", "top", F.lit(0).cast("long").alias("x"), n.alias("near"), n.alias("far"), none.alias("gone"), none.alias("more"), n.alias("kernel")
     ).union(open_lists.where("long").join(bounds, ["cls", "top"]).select("e", "cls", "comp", "n", "top", F.col("only").alias("x"), "near", "far", "gone", "more", "kernel"))
-    known = known.where(F.lit(den) * (n - F.col("x")) >= F.lit(num) * n)
-    cols = ("cls", "comp", "n", "x", "near", "far", "gone", "more")
+    known = known.where(F.lit(den) * (n - F.col("x")) >= F.lit(num) * n).join(shared, "cls")
+    cols = ("cls", "comp", "n", "x", "near", "far", "gone", "more", "es")
     rest = known.where("comp <> top").select("e", *(F.col(c).alias(f"{c}_a") for c in cols))
     full = known.select("e", "top", "kernel", *(F.col(c).alias(f"{c}_b") for c in cols))
     most = F.least(F.col("n_a") - F.col("x_a"), F.col("n_b") - F.col("x_b"), F.least("near_a", "near_b") + F.least("far_a", "far_b"))
@@ -228,7 +231,7 @@ def _rest_pairs(member: DataFrame, sets: DataFrame, num: int, den: int) -> DataF
     both = F.col("kernel") - F.size("gone_a") - F.size("gone_b") + F.size(F.array_intersect("gone_a", "gone_b")) + F.size(F.array_intersect("more_a", "more_b"))
     fits = F.when(F.col("gone_a").isNull() | F.col("gone_b").isNull(), F.lit(True)).otherwise(F.lit(den) * both >= F.lit(num) * (F.col("n_a") + F.col("n_b") - both))
     once = (F.col("comp_b") == F.col("top")) | (F.col("cls_a") < F.col("cls_b"))
-    met = rest.join(full, "e").where((F.col("comp_a") != F.col("comp_b")) & once & (F.lit(den) * most >= F.lit(num) * union) & fits)
+    met = rest.join(full, "e").where((F.col("comp_a") != F.col("comp_b")) & once & (F.lit(den) * most >= F.lit(num) * union) & fits & (F.array_min(F.array_intersect("es_a", "es_b")) == F.col("e")))
     return met.select(F.col("cls_a").alias("a"), F.col("cls_b").alias("b"))
 
 
@@ -247,16 +250,17 @@ def near_duplicate_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int =
     lists = settle(_postings(classes, match), "lists")
     sets = settle(_sets(docs, classes.join(lists.select("cls").distinct(), "cls").select("cls", "print", "doc_id"), k), "sets")
     links = roots = None  # of the turns so far
+    tasks = -(-lists.count() // POSTINGS_A_TASK) or 1
     for turn in range(stars + 1):
         if roots is None:
             member = lists.withColumn("comp", F.col("cls"))
         else:
-            member = settle(lists.join(roots.toDF("cls", "root"), "cls", "left").select("e", "cls", "n", "long", F.coalesce("root", "cls").alias("comp")), "member")
+            member = settle(lists.join(roots.toDF("cls", "root"), "cls", "left").select("e", "cls", "n", "long", F.coalesce("root", "cls").alias("comp")).coalesce(tasks), "member")
         if turn < stars:
             pairs = _star_pairs(member.where("long") if turn else member, turn)
         else:
-            pairs = _rest_pairs(member, sets, num, den)
-        new = settle(_confirmed(pairs, classes, sets, match, num, den), "links")
+            pairs = _rest_pairs(member, sets, num, den, tasks)
+        new = settle(_confirmed(pairs, classes, sets, match, num, den, tasks), "links")
         links = new if links is None else links.union(new)
         roots = settle(connected_components(links), "roots")  # (node, root)
     grouped = classes.join(roots.toDF("cls", "root"), "cls", "left").select("print", "doc_id", F.coalesce("root", "cls").alias("comp"))
