@@ -20,17 +20,21 @@ def seeded(df: DataFrame, n_seeds: int) -> DataFrame:
 
 def run(df: DataFrame, views: list[ViewSpec], methods: list[str], ms: list[int], n_seeds: int = 20, spec: HashSpec = HashSpec(), plan: str = "native") -> DataFrame:
     """runs (view_id, method, M, L, seed, estimate, branch, diag, exact). All sketches depend on the set of tuples alone, so the facts are grouped once for a
-    view, which also gives the exact size, and the seeds are rows beside the tuples."""
-    out = None
+    view, which also gives the exact size, and the seeds are rows beside the tuples. The hashed tuples of all views are kept (persisted) for the
+    grid; every method and M then handles all views in one pass."""
+    key = any(m in _KEYED for m in methods)
+    rows = None
     for view in views:
-        distinct = tuples(df, view)
-        exact = distinct.agg(F.count("*").alias("exact"))
-        rows = {k: hashed(seeded(distinct, n_seeds), view, spec.with_seed("seed"), key=k, bound=True) for k in (False, True)}
-        for method in methods:
-            for m in ms:
-                one = multi.finish(rows[method in _KEYED], method, m, spec.L, plan).crossJoin(F.broadcast(exact))  # one row
-                out = one if out is None else out.unionByName(one)
-    return out
+        one = hashed(seeded(tuples(df, view), n_seeds), view, spec.with_seed("seed"), key=key, bound=True)
+        rows = one if rows is None else rows.unionByName(one)
+    rows = rows.persist()
+    exact = rows.where("seed = 0").groupBy("view_id").agg(F.count("*").alias("exact"))
+    out = None
+    for method in methods:
+        for m in ms:
+            one = multi.finish(rows if method in _KEYED else rows.drop("key"), method, m, spec.L, plan)
+            out = one if out is None else out.unionByName(one)
+    return out.join(F.broadcast(exact), "view_id").select(*out.columns, "exact")  # one row a view
 
 
 def append_log(runs: DataFrame, path: str) -> None:

@@ -204,8 +204,8 @@ add(
     _RUN_SQL + " SELECT view_id, method, M, max(exact) AS exact, round(sqrt(avg(pow(est - exact, 2.0))) / max(exact), 4) AS rse FROM runs GROUP BY view_id, method, M",
 )
 add(
-    "bias", lambda s, d: metrics.accuracy(small_runs(s, d)).select("view_id", "method", "M", F.round("bias", 4).alias("bias")),
-    _RUN_SQL + " SELECT view_id, method, M, round(avg(est) / max(exact) - 1, 4) AS bias FROM runs GROUP BY view_id, method, M",
+    "bias", lambda s, d: metrics.accuracy(small_runs(s, d)).select("view_id", "method", "M", (F.round("bias", 4) + F.lit(0.0)).alias("bias")),
+    _RUN_SQL + " SELECT view_id, method, M, round(avg(est) / max(exact) - 1, 4) + 0.0 AS bias FROM runs GROUP BY view_id, method, M",
 )
 add(
     "reliability", lambda s, d: metrics.reliability(small_runs(s, d), 0.2).select("view_id", "method", "M", F.round("within", 4).alias("within")),
@@ -215,7 +215,7 @@ add(
 
 def accuracy_w1(s: SparkSession, d: str) -> DataFrame:
     """All five sketches on the census stand-in's views, 20 seeds, the fast hash: standard error, bias, 95 % quantile."""
-    views = CENSUS[:12]
+    views = CENSUS[:8]
     return metrics.accuracy(protocol.run(facts(s, d, *views), views, ["pc", "ll", "ac", "gc", "lps"], MS, _N_SEEDS, FAST))
 
 
