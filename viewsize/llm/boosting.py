@@ -6,7 +6,7 @@ import numpy as np
 
 
 class BoostedTrees:
-    def __init__(self, trees: int = 60, depth: int = 4, rate: float = 0.2, bins: int = 32, l2: float = 1.0, least: float = 5.0):
+    def __init__(self, trees: int = 90, depth: int = 5, rate: float = 0.2, bins: int = 32, l2: float = 1.0, least: float = 5.0):
         self.trees, self.depth, self.rate, self.bins, self.l2, self.least = trees, depth, rate, bins, l2, least
         self.base = 0.0
         self.splits: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []

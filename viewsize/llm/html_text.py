@@ -359,7 +359,7 @@ def _gold(nodes: list[Node]) -> np.ndarray:
     out = np.zeros(len(nodes))
     at = {id(x): i for i, x in enumerate(nodes)}
     for i, x in enumerate(nodes):
-        out[i] = 1.0 if not i else float(x.gold) if x.gold is not None else out[at[id(x.parent)]]
+        out[i] = 1.0 if not i else 0.0 if x.tag == "head" else float(x.gold) if x.gold is not None else out[at[id(x.parent)]]
     return out
 
 
@@ -386,7 +386,7 @@ def weak_labels(nodes: list[Node]) -> np.ndarray | None:
     return out
 
 
-def train(pages: DataFrame | None = None, generated: int = 500, sample: int = 150, seed: int = 9, **how) -> BoostedTrees:
+def train(pages: DataFrame | None = None, generated: int = 1000, sample: int = 150, seed: int = 9, **how) -> BoostedTrees:
     """``generated``: number of generated pages; ``sample``: bound of the table's own pages (drawn by a hash of page_id, of at most 100,000 characters each) that
     are added with weak labels."""
     r = random.Random(seed)
