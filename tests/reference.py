@@ -1,53 +1,49 @@
-"""Row-at-a-time forms of the sketches, for comparison: plain Python over an iterable of hashes."""
+"""The sketches by definition, over sets of hashes in plain Python: a second opinion for the tests."""
 
 from __future__ import annotations
 
 import math
+from collections import defaultdict
+from itertools import count
 
 
-def trailing(x: int, none: int) -> int:
-    return (x & -x).bit_length() - 1 if x else none
+def zeros(x: int, most: int) -> int:
+    """How often 2 divides x, ``most`` at most (and for 0)."""
+    return next(i for i in range(most + 1) if i == most or x >> i & 1)
 
 
-def probabilistic_counting(ys, M, L):
-    k = M.bit_length() - 1
-    seen = [set() for _ in range(M)]
-    for y in ys:
-        seen[y % M].add(trailing(y // M, L - k))
-    return M / 0.77351 * 2 ** (sum(next(i for i in range(L + 2) if i not in s) for s in seen) / M)
+def ranks(ys, M, L) -> dict[int, set[int]]:
+    """Bucket -> the ranks seen in it, from 0."""
+    k, out = M.bit_length() - 1, defaultdict(set)
+    for y in set(ys):
+        out[y & (M - 1)].add(zeros(y >> k, L - k))
+    return out
 
 
-def registers(ys, M, L):
-    k, regs = M.bit_length() - 1, [0] * M
-    for y in ys:
-        regs[y % M] = max(regs[y % M], min(trailing(y // M, L - k), L - k) + 1)
-    return regs
+def probabilistic_counting(ys, M, L):
+    missing = (next(i for i in count() if i not in seen) for seen in ranks(ys, M, L).values())
+    return 2 ** (sum(missing) / M) * M / 0.77351
 
 
 def loglog(ys, M, L):
-    return (0.39701 - (2 * math.pi**2 + math.log(2) ** 2) / (48 * M)) * M * 2 ** (sum(registers(ys, M, L)) / M)
+    top = sum(max(seen) + 1 for seen in ranks(ys, M, L).values())
+    return (0.39701 - (2 * math.pi**2 + math.log(2) ** 2) / (48 * M)) * M * 2 ** (top / M)
 
 
 def adaptive(ys, M, L):
-    empty = registers(ys, M, L).count(0)
-    return -M * math.log(empty / M) if empty / M >= 0.051 else loglog(ys, M, L)
+    unused = 1 - len(ranks(ys, M, L)) / M
+    return -M * math.log(unused) if unused >= 0.051 else loglog(ys, M, L)
 
 
 def smallest_hashes(pairs, M, L):
     """pairs of (hash, tuple)."""
     kept = sorted(set(pairs))[:M]
-    if len(kept) < M or not kept[-1][0]:
-        return float(len(kept))
-    return 2.0**L * len(kept) / kept[-1][0]
+    return float(len(kept)) if len(kept) < M or not kept[-1][0] else 2.0**L * M / kept[-1][0]
 
 
 def level_pruned(pairs, M, L):
-    held, t = {}, 0
-    for y, x in pairs:
-        j = trailing(y, L)
-        if j >= t:
-            held[x] = j
-            while len(held) > M:
-                t += 1
-                held = {a: b for a, b in held.items() if b >= t}
-    return 2.0**t * len(held), t
+    """(estimate, floor), the floor the least whose tail fits."""
+    level = {x: zeros(y, L) for y, x in pairs}
+    tail = lambda t: sum(v >= t for v in level.values())
+    floor = next(t for t in count() if tail(t) <= M)
+    return 2.0**floor * tail(floor), floor
