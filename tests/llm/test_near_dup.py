@@ -118,3 +118,34 @@ def test_shingles(k):
     assert len(near_dup.shingles(None, k, memo)) == 0 and len(near_dup.shingles(" \n", k, memo)) == 0
     assert (near_dup.shingles("A b\tC", k, memo) == near_dup.shingles("a B  c", k, memo)).all()
     assert len(near_dup.shingles("x y z", k, memo)) == (3 if k == 1 else 1)
+
+
+def test_components_without_a_common_core_against_brute_force(spark):
+    """A long drifting chain, and two bridged groups of edited copies, each with strays that are near one of their texts alone: no shingle is held by most of
+    such a component, and its posting lists are long."""
+    rng = random.Random(21)
+
+    def changed(t, at):
+        return t[:at] + words(rng, 1, 10**6) + t[at + 1 :]
+
+    walk = words(rng, 42 + 150, 10**6)
+    texts = [walk[i : i + 42] for i in range(150)]
+    texts += [changed(t, rng.randrange(8, 34)) for t in texts for _ in range(2)]
+    walk = words(rng, 42 + 40, 10**6)
+    texts += [walk[i : i + 42] for i in range(41)]
+    for base in (walk[:42], walk[40:82]):
+        for _ in range(100):
+            at = rng.randrange(8, 32)
+            t = changed(base, at)
+            texts += [t, changed(t, at + 2)]
+    rows = [(i, " ".join(t)) for i, t in enumerate(texts)]
+    rng.shuffle(rows)
+    check(spark, rows, 3, 85, 100)
+
+
+def test_long_lists_whose_largest_component_has_no_anchor(spark):
+    """The last comparison round keeps a pair in a long list although no shingle is held by most of the list's largest component."""
+    sets = [(i, list(range(10 * i, 10 * i + 40))) for i in range(20)] + [(20, list(range(30, 70)) + [-1])]
+    member = [(1, i, len(s), True, min(i, 1) if i < 20 else 20) for i, s in sets]
+    got = near_dup._rest_pairs(spark.createDataFrame(member, "e long, cls long, n long, long boolean, comp long"), spark.createDataFrame(sets, "cls long, shingles array<long>"), 85, 100, 1)
+    assert {(min(r), max(r)) for r in map(tuple, got.collect())} == {(3, 20)}

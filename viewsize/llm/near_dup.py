@@ -187,7 +187,7 @@ def _bounds(long_lists: DataFrame, sets: DataFrame, tasks: int) -> DataFrame:
     """long_lists (cls, comp, n, top) -> (cls, top, only, near, far, gone, more): what a member can share with members of other components.
 
     ``only`` counts its shingles that no other component has. The anchor of component ``top`` is the set of shingles that most of its
-    members have (fewer than twice their mean number, so one row holds it); ``near`` counts the member's shingles in the anchor,
+    members have (fewer than twice their mean number, so one row holds it; empty if there is none, as in a drifting chain); ``near`` counts the member's shingles in the anchor,
     ``far`` the others that another component may have. Where a member differs from the anchor in few shingles, ``gone`` and ``more`` are
     those it lacks and those it has beside it: two such members' intersection follows from these short arrays alone."""
     members = long_lists.select("cls", "comp").distinct()
@@ -197,7 +197,8 @@ def _bounds(long_lists: DataFrame, sets: DataFrame, tasks: int) -> DataFrame:
     sizes = members.groupBy("comp").agg(F.count("*").alias("size")).join(long_lists.select(F.col("top").alias("comp")).distinct(), "comp")
     common = own.groupBy("comp", "h").agg(F.count("*").alias("c")).join(sizes, "comp").where("2 * c > size").select("comp", "h")
     anchors = common.join(lone.withColumn("alone", F.lit(1)), "h", "left").groupBy("comp").agg(F.collect_list("h").alias("anchor"), F.count("alone").alias("inside"))
-    pairs = long_lists.select("cls", "comp", "n", "top").distinct().join(anchors.withColumnRenamed("comp", "top"), "top").join(only, "cls", "left").na.fill(0, ["only"])
+    pairs = long_lists.select("cls", "comp", "n", "top").distinct().join(anchors.withColumnRenamed("comp", "top"), "top", "left").join(only, "cls", "left").na.fill(0, ["only", "inside"])
+    pairs = pairs.withColumn("anchor", F.coalesce("anchor", F.array().cast("array<bigint>")))
     met = pairs.join(sets, "cls").withColumn("near", F.size(F.array_intersect("shingles", "anchor")).cast("long"))
     inside = F.when(F.col("comp") == F.col("top"), F.col("inside")).otherwise(F.lit(0))  # so many of ``only`` at most may be the anchor's too
     gone, more = F.array_except("anchor", "shingles"), F.array_except("shingles", "anchor")
