@@ -86,6 +86,24 @@ def test_anything_is_accepted(model, page):
     assert isinstance(H.extract_text(page, model), str)
 
 
+@pytest.mark.parametrize("inner, want", [
+    ('<svg viewBox="0 0 1 1" />', "before after"), ("<math/>", "before after"), ("<svg><title/><path d=x /></svg>", "before after"), ("<svg><title>t</title><script>s</script></svg>", "before after"),
+    ("<math><mi>x</mi><mo>=</mo><mn>2</mn></math>", "before x=2 after"), ("<select name=s>", "before after"), ("<select><option>one</select>", "before one after"),
+    ("<template>", "before after"), ("<noscript>", "before after"), ("<textarea>", "before after"), ("<iframe src=x>", "before after"), ("<title>", "before after"),
+    ("<script>code()</script>", "before after"), ("<textarea>typed</textarea>", "before after"),
+])
+def test_no_text_is_lost_after_a_raw_element(inner, want):
+    nodes = H.nodes_of(H.parse(f"<body><article><p>before {inner} after</p><p>last</p></article></body>"))
+    assert H.render(nodes, [True] * len(nodes)).split() == [*want.split(), "last"]
+
+
+def test_an_unclosed_select_ends_before_a_block_and_a_script_does_not():
+    nodes = H.nodes_of(H.parse("<body><article><form><select><option>one<p>text</p></form><p>more</p></article></body>"))
+    assert [x.parent.tag for x in nodes if x.tag == "p"] == ["form", "article"]
+    nodes = H.nodes_of(H.parse("<body><p>text</p><script>if (a) { b = 1;"))
+    assert H.render(nodes, [True] * len(nodes)) == "text"
+
+
 def test_messy_pages(spark, model):
     rows = [(1, None, None), (None, "u", "<p>hello there, this is text</p>"), (2, "u", ""), (2, "u", ""), (3, "v", "<body>" + "<p>long text, here.</p>" * 20_000)]
     df = clashing(spark.createDataFrame(rows, "page_id long, url string, html string")).withColumnRenamed("text", "other")

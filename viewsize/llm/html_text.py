@@ -22,7 +22,11 @@ from .boosting import BoostedTrees
 
 # Fixed values of the HTML language: elements without content, raw-text elements, block-level elements, and what an open paragraph ends before.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-RAW = frozenset("script style template noscript textarea iframe svg math select title".split())
+RAW = frozenset("script style template noscript textarea iframe title".split())
+#: Without an end tag these reach to the end of the page, as HTML has it; what follows the start tag of another unclosed raw element is read as usual.
+_CODE = frozenset(("script", "style"))
+#: Block-level elements that may stand in a select; any other ends one that isn't closed.
+_IN_SELECT = frozenset(("option", "hr", "legend"))
 BLOCK = frozenset(
     "html body address article aside blockquote caption center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header "
     "hgroup hr legend li main menu nav ol option p pre section summary table tbody td tfoot th thead tr ul".split()
@@ -83,6 +87,8 @@ def parse(page: str | None) -> Node:
     root = Node("html", "", None)
     open_: list[tuple[str, Node | None]] = [("html", root)]
     at, links, now = 0, 0, root
+    select = False  # one may be open
+    endless: set[str] = set()  # raw elements without an end tag from here on
     while at < len(page):
         m = _TAG.search(page, at)
         end = m.start() if m else len(page)
@@ -102,10 +108,16 @@ def parse(page: str | None) -> Node:
                     del open_[i:]
                     break
         elif tag in RAW:
-            close = re.compile(rf"</{tag}(?=[\s/>])[^>]*(?:>|\Z)", re.I).search(page, at)
-            at = close.end() if close else len(page)
-            if tag in ("select", "textarea"):
+            if tag == "textarea":
                 now.inputs += 1
+            if m[3].rstrip().endswith("/") and any(t in ("svg", "math") for t, _ in open_):
+                continue
+            close = None if tag in endless else re.compile(rf"</{tag}(?=[\s/>])[^>]*(?:>|\Z)", re.I).search(page, at)
+            if close:
+                at = close.end()
+            else:
+                endless.add(tag)
+                at = len(page) if tag in _CODE else at
         elif tag in VOID:
             if tag == "br":
                 now.parts.append((" ", False))
@@ -116,6 +128,11 @@ def parse(page: str | None) -> Node:
         elif tag == "html":
             continue
         else:
+            if select and tag in BLOCK and tag not in _IN_SELECT:
+                i = next((i for i, (t, _) in enumerate(open_) if t == "select"), len(open_))
+                links -= sum(t == "a" for t, _ in open_[i:])
+                del open_[i:]
+                select, now = False, next(n for _, n in reversed(open_) if n is not None)
             closed = len(open_)
             if tag in ENDS_P:
                 for i in range(len(open_) - 1, 0, -1):
@@ -138,7 +155,8 @@ def parse(page: str | None) -> Node:
                 node = Node(tag, m[3], now) if tag in BLOCK else None
                 open_.append((tag, node))
                 links += tag == "a"
-                if tag == "button":
+                select = select or tag == "select"
+                if tag in ("button", "select"):
                     now.inputs += 1
         now = next(n for _, n in reversed(open_) if n is not None)
     return root
