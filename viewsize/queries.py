@@ -257,6 +257,11 @@ def m_sweep(s: SparkSession, d: str) -> DataFrame:
     return metrics.accuracy(rows[0].unionByName(rows[1]))
 
 
+# The same measures as above over every view and all five sketches: too slow in SQL.
+for _tag, _views in (("w1", CENSUS), ("w3", SYNTHETIC)):
+    add("rse_w3" if _tag == "w3" else "rse_w1_census", lambda s, d, v=_views: metrics.accuracy(_whole_runs(s, d, v, SPEC)).select("view_id", "method", "M", "exact", F.round("rse", 4).alias("rse")))
+    add(f"bias_{_tag}", lambda s, d, v=_views: metrics.accuracy(_whole_runs(s, d, v, SPEC)).select("view_id", "method", "M", (F.round("bias", 4) + F.lit(0.0)).alias("bias")))
+    add(f"reliability_{_tag}", lambda s, d, v=_views: metrics.reliability(_whole_runs(s, d, v, SPEC), 0.2).select("view_id", "method", "M", F.round("within", 4).alias("within")))
 add("accuracy_w1", accuracy_w1)
 add("accuracy_w3", accuracy_w3)
 add("accuracy_w2_mf", accuracy_mf)
