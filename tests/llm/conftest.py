@@ -1,7 +1,7 @@
 import pytest
 from pyspark.sql import functions as F
 
-CLASHING = "n size cls print sig comp shard slot score toxic label lang_pred h key v words tokens group item block epoch chunk text_key input_text source_no start held_out predicted kept".split()
+CLASHING = "n size cls print sig comp shard slot score toxic label lang_pred h key v words tokens group item block epoch chunk text_key input_text source_no start held_out predicted kept kept_id kept_key row rows once grp d e top most own freq member".split()
 
 
 def clashing(df):

@@ -9,11 +9,10 @@ agree on ``match`` of ``coords`` coordinates must share one of the ``coords - ma
 * skip: the frequent pairs are never merged; the full number of collisions is read off the two signatures.
 
 Within a posting list pairs are not enumerated. A round compares all members with one pivot of their list; members already
-in one component need no further comparison. After the rounds, the members outside the largest component of a list are
-compared with the members of other components there, which makes the result exact for any list. In long lists that last
-step first bounds what a member can share with another component, by its shingles that no other component has and by its
-difference from an anchor, the shingles that most of the list's largest component have; members close to the anchor are
-compared by these short differences, so that the strays of a large group of edited copies pair with nothing.
+in one component need no further comparison. After the rounds, members of short lists are compared with those of other components
+there. Members of long lists are described by their differences from a kernel, the shingles that most of the list's largest
+component have, and meet where they share one of the rarer elements of these differences, as a prefix filter on full sets has it.
+This is exact for any list, and the strays of a large group of edited copies meet no more of it than may be linked with them.
 Pairs at or above ``match`` collisions are confirmed on the full shingle sets.
 
 ``match`` follows from the threshold: the largest value that a pair exactly at the threshold misses with a chance below
@@ -30,6 +29,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..session import ship
 from .common import settle
 from .components import connected_components
 
@@ -42,8 +42,10 @@ BROADCAST_IDS = 500_000
 POSTINGS_A_TASK = 20_000
 #: Lists with more members than this are long.
 LONG = 16
-#: Members of a long list are described by their difference from an anchor if it has at most so many shingles.
-SHORT = 80
+#: About so many members of a component are asked for its kernel.
+KERNEL_MEMBERS = 64
+#: Members of a group that one task compares with the kernel.
+MEMBERS_A_CHUNK = 1000
 
 
 class _WordHash(dict):
@@ -133,6 +135,7 @@ def _setter(k: int):
 
 def sign(docs: DataFrame, k: int = 5, coords: int = 24) -> DataFrame:
     """(doc_id, text_key, n, print, sig) of every row: hash of the text, shingle count, digest of the set (null if it is empty), signature."""
+    ship(docs.sparkSession)
     text = F.col("text").cast("string")
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("text_key"), text.alias("text"))
     return rows.mapInArrow(_signer(k, coords), "doc_id long, text_key long, n long, print binary, sig array<int>")
@@ -183,57 +186,81 @@ def _star_pairs(member: DataFrame, turn: int) -> DataFrame:
     return member.join(own, "e").where("comp <> comp_a").select("a", F.col("cls").alias("b"))
 
 
-def _bounds(long_lists: DataFrame, sets: DataFrame, tasks: int) -> DataFrame:
-    """long_lists (cls, comp, n, top) -> (cls, top, only, near, far, gone, more): what a member can share with members of other components.
-
-    ``only`` counts its shingles that no other component has. The anchor of component ``top`` is the set of shingles that most of its
-    members have (fewer than twice their mean number, so one row holds it; empty if there is none, as in a drifting chain); ``near`` counts the member's shingles in the anchor,
-    ``far`` the others that another component may have. Where a member differs from the anchor in few shingles, ``gone`` and ``more`` are
-    those it lacks and those it has beside it: two such members' intersection follows from these short arrays alone."""
-    members = long_lists.select("cls", "comp").distinct()
-    own = sets.join(members, "cls").select("cls", "comp", F.explode("shingles").alias("h"))
-    lone = settle(own.groupBy("h").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo = hi").select("h").coalesce(tasks), "lone")
-    only = own.join(lone, "h").groupBy("cls").agg(F.count("*").alias("only"))
-    sizes = members.groupBy("comp").agg(F.count("*").alias("size")).join(long_lists.select(F.col("top").alias("comp")).distinct(), "comp")
-    common = own.groupBy("comp", "h").agg(F.count("*").alias("c")).join(sizes, "comp").where("2 * c > size").select("comp", "h")
-    anchors = common.join(lone.withColumn("alone", F.lit(1)), "h", "left").groupBy("comp").agg(F.collect_list("h").alias("anchor"), F.count("alone").alias("inside"))
-    pairs = long_lists.select("cls", "comp", "n", "top").distinct().join(anchors.withColumnRenamed("comp", "top"), "top", "left").join(only, "cls", "left").na.fill(0, ["only", "inside"])
-    pairs = pairs.withColumn("anchor", F.coalesce("anchor", F.array().cast("array<bigint>")))
-    met = pairs.join(sets, "cls").withColumn("near", F.size(F.array_intersect("shingles", "anchor")).cast("long"))
-    inside = F.when(F.col("comp") == F.col("top"), F.col("inside")).otherwise(F.lit(0))  # so many of ``only`` at most may be the anchor's too
-    gone, more = F.array_except("anchor", "shingles"), F.array_except("shingles", "anchor")
-    short = (F.size("anchor") + F.size("shingles") - 2 * F.col("near")) <= SHORT
-    return met.select(
-        "cls", "top", "only", "near", (F.col("n") - F.col("near") - F.greatest(F.lit(0), F.col("only") - inside)).alias("far"),
-        F.when(short, gone).alias("gone"), F.when(short, more).alias("more"), F.size("anchor").cast("long").alias("kernel"),
-    )
+def _differences(lists: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
+    """lists (e, cls, comp, n, top, most) -> (grp, cls, comp, n, d): the members described by what sets them apart from a kernel, d = set xor kernel.
+
+    A list whose largest component ``top`` has several members is of group ``top``; the kernel is the set of shingles that most of some 64 members of that
+    component have. Any set would do as a kernel, so drawing those members costs no link. All other lists are of group -1, whose kernel is empty.
+    A member that differs from its kernel in more than half its shingles goes to group -1, and so does one from which such a member is in reach."""
+    who = lists.select(F.when(F.col("most") > 1, F.col("top")).otherwise(F.lit(-1)).alias("grp"), "cls", "comp", "n").distinct()
+    who = settle(who, "who")
+    near = who.where("grp >= 0")
+    held = near.groupBy("grp").agg(F.count_if(F.col("comp") == F.col("grp")).alias("size"), F.ceil(F.count("*") / MEMBERS_A_CHUNK).cast("int").alias("chunks"))
+    some = near.where("comp = grp").join(held, "grp").where(F.pmod(F.xxhash64("cls"), F.greatest(F.lit(1), F.floor(F.col("size") / KERNEL_MEMBERS))) == 0).select("grp", "cls")
+    drawn = some.groupBy("grp").agg(F.count("*").alias("drawn"))
+    common = some.join(sets, "cls").select("grp", F.explode("shingles").alias("h")).groupBy("grp", "h").agg(F.count("*").alias("c")).join(drawn, "grp").where("2 * c > drawn")
+    kernels = held.join(common.groupBy("grp").agg(F.collect_list("h").alias("kernel")), "grp", "left")
+    kernels = kernels.select("grp", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("chunk"), F.coalesce("kernel", F.array().cast("array<bigint>")).alias("kernel"))
+    chunk = F.pmod(F.xxhash64("cls", F.lit(1)), F.col("chunks").cast("long")).cast("int").alias("chunk")  # a group of any size is met in even parts
+    met = near.join(held.select("grp", "chunks"), "grp").select("grp", chunk, "cls", "comp", "n").join(sets, "cls").join(kernels, ["grp", "chunk"])
+    apart = settle(met.select("grp", "cls", "comp", "n", F.concat(F.array_except("kernel", "shingles"), F.array_except("shingles", "kernel")).alias("d")), "apart")
+    # Linked a and b with 2 |d(a)| > n(a): |d(b)| >= |d(a)| - |a xor b|, n(a) >= t n(b) and |a xor b| <= (1/t - 1) n(b).
+    reach = F.size("d") * F.lit(2 * num * den) > F.col("n") * F.lit(num * num - 2 * den * (den - num))
+    far = who.where("grp < 0").select("cls", "comp", "n").union(apart.where(reach).select("cls", "comp", "n")).distinct()
+    plain = far.join(sets, "cls").select(F.lit(-1).cast("long").alias("grp"), "cls", "comp", "n", F.col("shingles").alias("d"))
+    return settle(apart.where(F.size("d") * 2 <= F.col("n")).union(plain), "differences")
+
+
+def _distant_pairs(lists: DataFrame, sets: DataFrame, num: int, den: int, tasks: int) -> DataFrame:
+    """(a, b): pairs of different components within the groups of long lists, as their differences from the kernel allow.
+
+    |a xor b| is |d(a) xor d(b)|, and a link allows (den - num) / (den + num) of n(a) + n(b). Where |d(a)| + |d(b)| is within that, both are linked to the
+    member of the group with the most room, so pairs with this one suffice. Otherwise the two share an element of d; as at most (1/t - 1) n(a) elements of
+    d(a) are not in d(b), they share one of the first (1/t - 1) n(a) + 1 of either, by any order: elements of one component first, which
+    meet nothing, then rare before frequent ones. The members that an element brings together are compared as in any list: all
+    with those outside the largest component there, by the short differences."""
+    own = _differences(lists, sets, num, den)
+    room = (F.lit(den - num) * F.col("n") - F.lit(den + num) * F.size("d")).alias("room")
+    spare = own.where("grp >= 0").select("grp", "cls", "comp", room)
+    centre = spare.groupBy("grp").agg(F.max(F.struct("room", "cls", "comp")).alias("c"))
+    around = spare.join(centre, "grp").where((F.col("comp") != F.col("c.comp")) & (F.col("room") + F.col("c.room") >= 0)).select(F.col("c.cls").alias("a"), F.col("cls").alias("b"))
+    told = own.select("grp", "cls", "comp", F.explode("d").alias("h"))
+    often = told.groupBy("grp", "h").agg(F.count("*").alias("freq"), F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("grp", "h", "freq")
+    shared = told.join(often, ["grp", "h"]).groupBy("grp", "cls").agg(F.array_sort(F.collect_list(F.struct("freq", "h"))).alias("own"))
+    lone = F.size("d") - F.size("own")
+    first = (F.floor(F.lit(den - num) * F.col("n") / F.lit(num)) + 1 - lone).cast("int")
+    posted = own.join(shared, ["grp", "cls"]).withColumns({"x": lone, "first": first, "m": F.size("d"), "d": F.when(F.col("grp") >= 0, F.col("d"))}).where("first > 0")
+    posted = settle(posted.select("grp", "cls", "comp", "n", "x", "m", "d", F.explode(F.slice("own", F.lit(1), F.col("first"))).alias("o")).select("grp", "o.h", "cls", "comp", "n", "x", "m", "d").coalesce(tasks), "posted")
+    rest, full = _strays(posted, ["grp", "h"], ["cls", "comp", "n", "x", "m", "d"])
+    most = F.lit(den - num) * (F.col("n_a") + F.col("n_b"))
+    within = F.lit(den + num) * (F.col("m_a") + F.col("m_b") - 2 * F.size(F.array_intersect("d_a", "d_b"))) <= most
+    fits = (F.lit(den + num) * (F.col("x_a") + F.col("x_b")) <= most) & F.coalesce(within, F.lit(True))
+    met = rest.join(full, ["grp", "h"]).where(_apart(num, den) & fits)
+    return around.union(met.select(F.col("cls_a").alias("a"), F.col("cls_b").alias("b")))
+
+
+def _strays(rows: DataFrame, key: list[str], cols: list[str]) -> tuple[DataFrame, DataFrame]:
+    """(members outside the largest component of their key, all members with that component) of keys with several components, columns marked _a and _b."""
+    parts = rows.groupBy(*key, "comp").agg(F.count("*").alias("c")).groupBy(*key).agg(F.count("*").alias("parts"), F.max_by("comp", F.struct("c", "comp")).alias("key_top"))
+    lead = parts.where("parts > 1").select(*key, "key_top")
+    known = rows.join(lead, key)
+    return known.where("comp <> key_top").select(*key, *(F.col(c).alias(f"{c}_a") for c in cols)), known.select(*key, "key_top", *(F.col(c).alias(f"{c}_b") for c in cols))
+
+
+def _apart(num: int, den: int):
+    """A pair of a stray and a member that is of two components, named once, and of sizes that allow the threshold."""
+    once = (F.col("comp_b") == F.col("key_top")) | (F.col("cls_a") < F.col("cls_b"))
+    return (F.col("comp_a") != F.col("comp_b")) & once & (F.lit(den) * F.least("n_a", "n_b") >= F.lit(num) * F.greatest("n_a", "n_b"))
 
 
 def _rest_pairs(member: DataFrame, sets: DataFrame, num: int, den: int, tasks: int) -> DataFrame:
-    """(a, b): members outside the largest component of their list with members of other components there, where what they can share suffices.
-
-    In long lists the intersection is bounded by the shingles of either that other components have, and by what both share with one
-    anchor plus what either has beside it. Shingles that only one component has are in no such intersection and in every union."""
+    """(a, b): what the turns left open: in lists of LONG members at most, those outside the largest component with all others; in long lists, the pairs of _distant_pairs()."""
     parts = member.groupBy("e", "comp").agg(F.count("*").alias("c"))
-    lead = parts.groupBy("e").agg(F.count("*").alias("parts"), F.max_by("comp", "c").alias("top")).where("parts > 1").select("e", "top")
+    lead = parts.groupBy("e").agg(F.count("*").alias("parts"), F.max_by("comp", F.struct("c", "comp")).alias("top"), F.max("c").alias("most")).where("parts > 1").select("e", "top", "most")
     open_lists = settle(member.join(lead, "e").coalesce(tasks), "open")
-    shared = open_lists.groupBy("cls").agg(F.collect_list("e").alias("es"))  # at most coords a class; a pair is looked at in its first common list alone
-    bounds = settle(_bounds(open_lists.where("long"), sets, tasks).coalesce(tasks), "bounds")
-    n, none = F.col("n"), F.lit(None).cast("array<bigint>")
-    known = open_lists.where("not long").select(
-        "e", "cls", "comp", "n", "top", F.lit(0).cast("long").alias("x"), n.alias("near"), n.alias("far"), none.alias("gone"), none.alias("more"), n.alias("kernel")
-    ).union(open_lists.where("long").join(bounds, ["cls", "top"]).select("e", "cls", "comp", "n", "top", F.col("only").alias("x"), "near", "far", "gone", "more", "kernel"))
-    known = known.where(F.lit(den) * (n - F.col("x")) >= F.lit(num) * n).join(shared, "cls")
-    cols = ("cls", "comp", "n", "x", "near", "far", "gone", "more", "es")
-    rest = known.where("comp <> top").select("e", *(F.col(c).alias(f"{c}_a") for c in cols))
-    full = known.select("e", "top", "kernel", *(F.col(c).alias(f"{c}_b") for c in cols))
-    most = F.least(F.col("n_a") - F.col("x_a"), F.col("n_b") - F.col("x_b"), F.least("near_a", "near_b") + F.least("far_a", "far_b"))
-    union = F.greatest(F.col("n_a") + F.col("n_b") - most, most + F.col("x_a") + F.col("x_b"))
-    both = F.col("kernel") - F.size("gone_a") - F.size("gone_b") + F.size(F.array_intersect("gone_a", "gone_b")) + F.size(F.array_intersect("more_a", "more_b"))
-    fits = F.when(F.col("gone_a").isNull() | F.col("gone_b").isNull(), F.lit(True)).otherwise(F.lit(den) * both >= F.lit(num) * (F.col("n_a") + F.col("n_b") - both))
-    once = (F.col("comp_b") == F.col("top")) | (F.col("cls_a") < F.col("cls_b"))
-    met = rest.join(full, "e").where((F.col("comp_a") != F.col("comp_b")) & once & (F.lit(den) * most >= F.lit(num) * union) & fits & (F.array_min(F.array_intersect("es_a", "es_b")) == F.col("e")))
-    return met.select(F.col("cls_a").alias("a"), F.col("cls_b").alias("b"))
+    rest, full = _strays(open_lists.where("not long").select("e", "cls", "comp", "n"), ["e"], ["cls", "comp", "n"])
+    near = rest.join(full, "e").where(_apart(num, den)).select(F.col("cls_a").alias("a"), F.col("cls_b").alias("b"))
+    return near.union(_distant_pairs(open_lists.where("long"), sets, num, den, tasks))
 
 
 def near_duplicate_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, coords: int = 24, stars: int = 2, miss: float = 1e-8) -> DataFrame:
@@ -274,9 +301,8 @@ def near_duplicate_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int =
 
 def drop_near_duplicates(docs: DataFrame, **how) -> DataFrame:
     """The rows of docs, with all their columns, that their groups keep: one of each group. Of repeated rows one stays; texts without words all stay, but for repeated rows."""
-    kept = settle(near_duplicate_groups(docs, **how).where("kept").select(F.col("doc_id").alias("kept_id"), F.col("text_key").alias("kept_key")), "kept")
-    once = kept.distinct()
-    own = docs.join(once, F.col("doc_id").cast("long").eqNullSafe(F.col("kept_id")) & (F.xxhash64(F.col("text").cast("string")) == F.col("kept_key")), "left_semi")
-    if kept.count() == once.count():
-        return own
-    return own.withColumn("kept_key", F.xxhash64(F.col("text").cast("string"))).dropDuplicates(["doc_id", "kept_key"]).drop("kept_key")
+    kept = settle(near_duplicate_groups(docs, **how).where("kept").select("doc_id", "text_key"), "kept")
+    once = kept.distinct().alias("once")
+    rows = docs.select(F.struct("*").alias("row"), F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(F.col("text").cast("string")).alias("text_key")).alias("rows")
+    own = rows.join(once, F.col("rows.doc_id").eqNullSafe(F.col("once.doc_id")) & (F.col("rows.text_key") == F.col("once.text_key")), "left_semi")
+    return (own if kept.count() == once.count() else own.dropDuplicates(["doc_id", "text_key"])).select("row.*")
