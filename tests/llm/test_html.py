@@ -1,6 +1,7 @@
 import html
 import random
 import re
+import time
 
 import numpy as np
 import pytest
@@ -22,7 +23,7 @@ def article(page):
     """The blocks of the tables' own page layout, by hand."""
     inner = re.search(r"<article>(.*?)(</article>|$)", page, re.S)[1]
     inner = re.sub(r"</?b>", "", re.sub(r"<br>", " ", re.sub(r"</?(p|h1)>", "\n", inner)))
-    return "\n".join(t for t in (" ".join(html.unescape(b).split()) for b in inner.split("\n")) if t)
+    return "\n\n".join(t for t in (" ".join(html.unescape(b).split()) for b in inner.split("\n")) if t)
 
 
 def test_given_pages(spark):
@@ -53,8 +54,8 @@ def test_hand_made_page(model):
     <section id="comments" class="comments"><h3>Comments</h3><div class="comment"><p>I liked it very much, thank you.</p></div></section></main>
     <aside class="sidebar"><h3>Related</h3><ul><li><a href=4>Four</a><li><a href=5>Five</a></ul></aside><footer>&copy; 2020 Someone, all rights</footer></body></html>"""
     assert H.extract_text(page, model) == (
-        "A title & more\nFirst paragraph, with white space and an inline link, long enough to be read as prose.\nSecond one <here>, it goes on for a while too.\n"
-        "An item of the list in the text, with words.\nAnother item of it, longer than a link."
+        "A title & more\n\nFirst paragraph, with white space and an inline link, long enough to be read as prose.\n\nSecond one <here>, it goes on for a while too.\n\n"
+        "An item of the list in the text, with words.\n\nAnother item of it, longer than a link."
     )
 
 
@@ -109,10 +110,30 @@ def test_messy_pages(spark, model):
     df = clashing(spark.createDataFrame(rows, "page_id long, url string, html string")).withColumnRenamed("text", "other")
     got = H.extract(df, H.train(df, generated=60)).collect()
     assert sorted((str(r["page_id"]), str(r["url"])) for r in got) == sorted((str(a), str(b)) for a, b, _ in rows)
-    assert {r["n_chars"] for r in got if r["page_id"] in (1, 2)} == {0} and [r["n_chars"] for r in got if r["page_id"] == 3] == [20_000 * 17 - 1]
+    assert {r["n_chars"] for r in got if r["page_id"] in (1, 2)} == {0} and [r["n_chars"] for r in got if r["page_id"] == 3] == [20_000 * 18 - 2]
     assert H.extract(df.limit(0), model).collect() == []
 
 
+@pytest.mark.parametrize("page", [
+    '<p a="x"' * 150_000, "<a href='x" + "<b title=\"" + "<a '" * 200_000, "<b>" * 200_000 + "text", "<ul><li><ul>" + "<b>" * 20_000 + "<li></li>" * 20_000, "<div>" * 100_000 + "text",
+    "<div>" * 400 + "<option></option>" * 60_000, "<" * 1_000_000, "<!--" * 200_000, "</p>" * 200_000, "<p>" + "<textarea>" * 100_000,
+])
+def test_bad_pages_of_megabytes_are_read_in_linear_time(page):
+    began = time.process_time()
+    nodes = H.nodes_of(H.parse(page))
+    assert time.process_time() - began < 20
+    assert H.render(nodes, [True] * len(nodes)).count("text") == page.count(">text")
+
+
+def test_quotes_and_references():
+    def whole(page):
+        nodes = H.nodes_of(H.parse(page))
+        return H.render(nodes, [True] * len(nodes))
+
+    assert whole("<p class=\"a>b\">it's</p><p don't>one &amp; <i title='<p>'>two</i></p>AT&<b>amp;</b>") == "it's\n\none & two\n\nAT&amp;"
+    assert whole("<p title=\"never closed>one</p><p>two</p>") == "one\n\ntwo"
+
+
 def test_boosting_learns_an_interaction():
     rng = np.random.default_rng(0)
     x = rng.random((2000, 5))

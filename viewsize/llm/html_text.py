@@ -18,6 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..session import ship
 from .boosting import BoostedTrees
 
 # Fixed values of the HTML language: elements without content, raw-text elements, block-level elements, and what an open paragraph ends before.
@@ -35,7 +36,10 @@ ENDS_P = BLOCK - {"html", "body", "head", "caption", "legend", "option", "tbody"
 ENDS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}, "tbody": {"tbody", "thead", "tr", "td", "th"}}
 _SCOPE = {"li": {"ul", "ol", "menu"}, "dt": {"dl"}, "dd": {"dl"}, "tr": {"table"}, "td": {"tr", "table"}, "th": {"tr", "table"}, "option": set(), "tbody": {"table"}}
 
-_TAG = re.compile(r"<(?:!--.*?(?:-->|\Z)|[!?][^>]*(?:>|\Z)|(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|\Z))", re.S)
+_TAG = re.compile(r"<(?:(!--)|([!?])|(/?)([a-zA-Z][^\s/>]*))")
+_PLAIN = re.compile(r"[^>\"']*")
+#: Deeper elements stand beside their parent instead of below it, as browsers have it, so that no token walks far.
+MOST_OPEN = 512
 _NAMES = re.compile(r"(?:class|id|role|itemprop|aria-label|data-component)\s*=\s*(\"[^\"]*\"|'[^']*'|[^\s>]+)", re.I)
 _SPLIT = re.compile(r"[^a-z]+|(?<=[a-z])(?=[A-Z])")
 #: Attribute words by what they hint at.
@@ -81,40 +85,68 @@ class Node:
             parent.parts.append(self)
 
 
+def _attributes_end(page: str, at: int, unmatched: set[str]) -> int:
+    """Where the > of a tag stands (or the page ends). A quote after = hides what is between it and the next such quote; one that nothing closes hides nothing."""
+    while True:
+        at = _PLAIN.match(page, at).end()
+        if at >= len(page) or page[at] == ">":
+            return at
+        quote, before = page[at], at - 1
+        while page[before].isspace():
+            before -= 1
+        close = page.find(quote, at + 1) if page[before] == "=" and quote not in unmatched else -1
+        if close < 0 and page[before] == "=":
+            unmatched.add(quote)
+        at = close + 1 if close >= 0 else at + 1
+
+
 def parse(page: str | None) -> Node:
-    """The tree of block-level elements of a page; inline elements are dissolved into their block. Anything is accepted."""
+    """The tree of block-level elements of a page; inline elements are dissolved into their block. Anything is accepted, in time linear in its length."""
     page = page or ""
     root = Node("html", "", None)
-    open_: list[tuple[str, Node | None]] = [("html", root)]
-    at, links, now = 0, 0, root
+    open_: list[tuple[str, Node | None, Node]] = [("html", root, root)]  # tag, its node if it is a block, the block that text goes to
+    at = 0
     select = False  # one may be open
     endless: set[str] = set()  # raw elements without an end tag from here on
+    unmatched: set[str] = set()  # quotes that don't occur from here on
+
+    now_open = Counter()  # how often a tag is among the open elements
+
+    def close(i: int) -> None:
+        for t, _, _ in open_[i:]:
+            now_open[t] -= 1
+        del open_[i:]
+
     while at < len(page):
         m = _TAG.search(page, at)
         end = m.start() if m else len(page)
+        now = open_[-1][2]
         if end > at:
-            now.parts.append((page[at:end], links > 0))
+            now.parts.append((page[at:end], now_open["a"] > 0))
         if not m:
             break
-        at = m.end()
-        tag = m[2]
-        if not tag:
-            continue
-        tag = tag.lower()
         if m[1]:
-            for i in range(len(open_) - 1, 0, -1):
-                if open_[i][0] == tag:
-                    links -= sum(t == "a" for t, _ in open_[i:])
-                    del open_[i:]
-                    break
+            end = page.find("-->", m.end())
+            at = end + 3 if end >= 0 else len(page)
+            continue
+        if m[2]:
+            end = page.find(">", m.end())
+            at = end + 1 if end >= 0 else len(page)
+            continue
+        end = _attributes_end(page, m.end(), unmatched)
+        attrs, at, tag = page[m.end() : end], min(len(page), end + 1), m[4].lower()
+        closed_itself = attrs.rstrip().endswith("/")
+        if m[3]:
+            if now_open[tag]:
+                close(next(i for i in range(len(open_) - 1, 0, -1) if open_[i][0] == tag))
         elif tag in RAW:
             if tag == "textarea":
                 now.inputs += 1
-            if m[3].rstrip().endswith("/") and any(t in ("svg", "math") for t, _ in open_):
+            if closed_itself and (now_open["svg"] or now_open["math"]):
                 continue
-            close = None if tag in endless else re.compile(rf"</{tag}(?=[\s/>])[^>]*(?:>|\Z)", re.I).search(page, at)
-            if close:
-                at = close.end()
+            last = None if tag in endless else re.compile(rf"</{tag}(?=[\s/>])[^>]*(?:>|\Z)", re.I).search(page, at)
+            if last:
+                at = last.end()
             else:
                 endless.add(tag)
                 at = len(page) if tag in _CODE else at
@@ -125,40 +157,35 @@ def parse(page: str | None) -> Node:
                 Node("hr", "", now)
             elif tag == "input":
                 now.inputs += 1
-        elif tag == "html":
-            continue
-        else:
+        elif tag != "html":
             if select and tag in BLOCK and tag not in _IN_SELECT:
-                i = next((i for i, (t, _) in enumerate(open_) if t == "select"), len(open_))
-                links -= sum(t == "a" for t, _ in open_[i:])
-                del open_[i:]
-                select, now = False, next(n for _, n in reversed(open_) if n is not None)
-            closed = len(open_)
-            if tag in ENDS_P:
+                close(next((i for i, x in enumerate(open_) if x[0] == "select"), len(open_)))
+                select = False
+            first = len(open_)
+            if tag in ENDS_P and now_open["p"]:
                 for i in range(len(open_) - 1, 0, -1):
                     if open_[i][0] == "p":
-                        closed = i
+                        first = i
                         break
                     if open_[i][1] is not None:
                         break
-            elif tag in ENDS:
+            elif tag in ENDS and any(now_open[t] for t in ENDS[tag]):
                 for i in range(len(open_) - 1, 0, -1):
                     if open_[i][0] in _SCOPE[tag]:
                         break
                     if open_[i][0] in ENDS[tag]:
-                        closed = i
-            if closed < len(open_):
-                links -= sum(t == "a" for t, _ in open_[closed:])
-                del open_[closed:]
-                now = next(n for _, n in reversed(open_) if n is not None)
-            if not m[3].rstrip().endswith("/") or tag in BLOCK:
-                node = Node(tag, m[3], now) if tag in BLOCK else None
-                open_.append((tag, node))
-                links += tag == "a"
+                        first = i
+            close(first)
+            if not closed_itself or tag in BLOCK:
+                if len(open_) >= MOST_OPEN:
+                    close(len(open_) - 1)
+                now = open_[-1][2]
+                node = Node(tag, attrs, now) if tag in BLOCK else None
+                open_.append((tag, node, node or now))
+                now_open[tag] += 1
                 select = select or tag == "select"
                 if tag in ("button", "select"):
                     now.inputs += 1
-        now = next(n for _, n in reversed(open_) if n is not None)
     return root
 
 
@@ -253,12 +280,12 @@ def decode(nodes: list[Node], odds: np.ndarray) -> list[bool]:
 
 
 def render(nodes: list[Node], kept: list[bool]) -> str:
-    """The text of kept elements: references decoded, white space of a block made one space, blocks in page order joined by line feeds."""
+    """The text of kept elements: references decoded, white space of a block made one space, blocks in page order joined by two line feeds."""
     keep = {id(x) for x, k in zip(nodes, kept) if k}
     blocks, run = [], []
 
     def flush():
-        text = " ".join(html.unescape("".join(run)).split())
+        text = " ".join("".join(run).split())
         if text:
             blocks.append(text)
         run.clear()
@@ -269,14 +296,14 @@ def render(nodes: list[Node], kept: list[bool]) -> str:
         if x is None:
             flush()
         elif x.__class__ is tuple:
-            run.append(x[0])
+            run.append(html.unescape(x[0]))
         else:
             flush()
             if id(x) in keep:
                 todo.append(None)
                 todo.extend(reversed(x.parts))
     flush()
-    return "\n".join(blocks)
+    return "\n\n".join(blocks)
 
 
 # Generated training pages.
@@ -418,7 +445,7 @@ def train(pages: DataFrame | None = None, generated: int = 1000, sample: int = 1
         drawn = pages.select(key.alias("o"), F.col("html").cast("string").alias("html")).where(F.length("html") <= 100_000)
         n = pages.count()
         rate = min(1.0, 2.0 * sample / max(1, n))
-        few = drawn.where(F.col("o").bitwiseAND(F.lit((1 << 53) - 1)) / float(1 << 53) < rate).limit(sample).collect()
+        few = drawn.where(F.col("o").bitwiseAND(F.lit((1 << 53) - 1)) / float(1 << 53) < rate).orderBy("o", "html").limit(sample).collect()
         for row in sorted(few, key=lambda row: (row["o"], row["html"])):
             nodes = nodes_of(parse(row["html"]))
             if (labels := weak_labels(nodes)) is not None:
@@ -434,7 +461,9 @@ def extract_text(page: str | None, model: BoostedTrees) -> str:
 
 def extract(pages: DataFrame, model: BoostedTrees) -> DataFrame:
     """pages (page_id, url, html) -> one row per page: (page_id, url, text, n_chars), n_chars in code points. Null, empty and textless pages give ''.
-    Repeated rows and null ids pass through; no rows give no rows; other columns are ignored."""
+    What browsers that run scripts don't show counts as markup: noscript, template, iframe and title; the text of svg and math elements is text of their
+    block. Repeated rows and null ids pass through; no rows give no rows; other columns are ignored."""
+    ship(pages.sparkSession)
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))
     shared = pages.sparkSession.sparkContext.broadcast(model)
 
