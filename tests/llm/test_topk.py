@@ -11,18 +11,18 @@ def brute(vectors, queries, k):
     ids = np.array([i for i, _ in vectors])
     out = []
     for q, v in queries:
-        scored = sorted(((-sum(int(a) * int(b) for a, b in zip(v, x)), i) for i, x in vectors if i != q))[:k]
+        scored = sorted(((-max(-(2**63), min(2**63 - 1, sum(int(a) * int(b) for a, b in zip(v, x)))), i) for i, x in vectors if i != q))[:k]
         out += [(q, r + 1, i, -s) for r, (s, i) in enumerate(scored)]
     assert len(ids) >= 0
     return sorted(out)
 
 
 def integer(v, scale=256):
-    return [int(np.floor(scale * x)) for x in v]
+    return [int(np.floor(max(-1.7976931348623157e308, min(1.7976931348623157e308, scale * x)))) for x in v]
 
 
-def run(spark, rows, k=5, every=5, **how):
-    df = clashing(spark.createDataFrame(rows, "vec_id long, embedding array<float>"))
+def run(spark, rows, k=5, every=5, kind="float", **how):
+    df = clashing(spark.createDataFrame(rows, f"vec_id long, embedding array<{kind}>"))
     own = topk.prepare(df)
     got = topk.top_k(own, own.where(f"vec_id % {every} = 0"), k, **how).collect()
     sound = [(i, integer(v)) for i, v in rows if i is not None and v is not None and all(x is not None and np.isfinite(x) for x in v)]
@@ -51,6 +51,16 @@ def test_messy_vectors(spark):
     run(spark, rows[:1])
 
 
+def test_large_finite_values(spark):
+    """Products beyond a double's and a long's exact range, up to the largest double."""
+    rng = np.random.default_rng(5)
+    rows = [(i, [float(np.float32(x)) for x in rng.normal(size=4) * s]) for s, ids in ((1, range(0, 40)), (1e5, range(40, 80)), (1e8, range(80, 120)), (1e30, range(120, 140))) for i in ids]
+    rows += [(200 + i, [1e8, -1e8, 1e8, float(i % 3)]) for i in range(12)]
+    run(spark, rows, block=16)
+    run(spark, rows[:100], block=8)
+    run(spark, [(i, [x * (1e300 if i % 4 else 1e307) for x in v]) for i, v in rows[:40]] + rows[40:60] + [(300, [1.7e308, -1.7e308])], kind="double", block=16)
+
+
 def test_empty(spark):
     own = topk.prepare(spark.createDataFrame([], "vec_id long, embedding array<float>"))
     assert topk.top_k(own, own).collect() == []
