@@ -7,11 +7,12 @@ ends. Output shards get multinomial source counts, drawn under the condition tha
 hypergeometric halvings, in which every shard finds its own counts and its first slot of each source from the seed alone. Slots
 become block numbers in parallel, and blocks meet documents in one equi-join by (source, block).
 
-Gathered to the driver: one row for each source, nothing that grows with documents or blocks.
+Gathered to the driver, and broadcast: one row for each source, nothing that grows with documents or blocks.
 """
 
 from __future__ import annotations
 
+import math
 import re
 
 import numpy as np
@@ -19,9 +20,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..session import ship
 from .common import WORD, settle, words
 
 _CHUNK_ROWS = 20_000
+#: Below this population numpy draws.
+_NUMPY_MOST = 1_000_000_000
 _SLOTS_A_SHARD = 4096
 # Odd multipliers of the round function.
 _ROUND = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93)
@@ -61,15 +65,66 @@ def permute(x: np.ndarray, n: int, key: int) -> np.ndarray:
     return out.astype(np.int64)
 
 
+def _log_choose_term(x: float, n: float, p: float) -> float:
+    """Logarithm of the binomial probability of x of n at rate p, by the saddle-point form, which keeps its precision at any size."""
+    if x == 0 or x == n:
+        return n * (math.log1p(-p) if x == 0 else math.log(p))
+
+    def rest(k: float) -> float:  # ln k! less Stirling's formula
+        if k < 16:
+            return math.lgamma(k + 1) - (k + 0.5) * math.log(k) + k - 0.5 * math.log(2 * math.pi)
+        return (1 / 12 - (1 / 360 - (1 / 1260 - 1 / 1680 / (k * k)) / (k * k)) / (k * k)) / k
+
+    def deviance(x: float, m: float) -> float:  # x ln(x / m) + m - x
+        if abs(x - m) < 0.1 * (x + m):
+            v = (x - m) / (x + m)
+            total, term, j = (x - m) * v, 2 * x * v, 1
+            while True:
+                term *= v * v
+                after = total + term / (2 * j + 1)
+                if after == total:
+                    return after
+                total, j = after, j + 1
+        return x * math.log(x / m) + m - x
+
+    q = 1 - p
+    out = rest(n) - rest(x) - rest(n - x) - deviance(x, n * p) - deviance(n - x, n * q)
+    return out + 0.5 * math.log(n / (2 * math.pi * x * (n - x)))
+
+
+def hypergeometric(good: int, bad: int, take: int, rng: np.random.Generator) -> int:
+    """How many of ``take`` draws without replacement are good, of populations of any size: numpy's draw within its range, beyond it the ratio of uniforms (Stadlober)
+    with exact logarithms of the probabilities."""
+    total = good + bad
+    low, high = max(0, take - bad), min(good, take)
+    if low == high:
+        return low
+    if total < _NUMPY_MOST:
+        return int(rng.hypergeometric(good, bad, take))
+    rate = take / total
+
+    def log_p(x: int) -> float:
+        return _log_choose_term(x, good, rate) + _log_choose_term(take - x, bad, rate)  # but for a constant
+
+    mode = min(high, max(low, (take + 1) * (good + 1) // (total + 2)))
+    top = log_p(mode)
+    mean, spread = take * (good / total), math.sqrt(take * (good / total) * (bad / total) * ((total - take) / (total - 1)) + 0.5)
+    width = 2 * math.sqrt(2 / math.e) * spread + 3 - 2 * math.sqrt(3 / math.e)
+    while True:
+        u, v = rng.random(), rng.random()
+        x = math.floor(mean + 0.5 + width * (v - 0.5) / max(u, 1e-300))
+        if low <= x <= high and 2 * math.log(max(u, 1e-300)) <= log_p(x) - top:
+            return x
+
+
 def _half(counts: np.ndarray, take: int, rng: np.random.Generator) -> np.ndarray:
-    """``take`` of all slots drawn without replacement, by source (beyond numpy's range: rounded expectation)."""
-    total = int(counts.sum())
-    if total < 1_000_000_000:
-        return rng.multivariate_hypergeometric(counts, take, method="marginals")
-    exact = counts / total * take
-    low = np.floor(exact).astype(np.int64)
-    low[np.argsort(low - exact, kind="stable")[: take - int(low.sum())]] += 1
-    return low
+    """``take`` of all slots drawn without replacement, by source: each source's share of what the ones before it have left."""
+    out, left = np.zeros_like(counts), int(counts.sum())
+    for i, n in enumerate(counts.tolist()):
+        left -= n
+        out[i] = hypergeometric(n, left, take, rng)
+        take -= int(out[i])
+    return out
 
 
 def shard_counts(quota: np.ndarray, shard: int, shards: int, slots: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
@@ -139,6 +194,7 @@ def mix_rows(docs: DataFrame, block: int = 512, most: float = 3.0, seed: int = 1
     """docs with (n, doc_id, source, size, text_key), n a row number of any kind -> (rows with source_no and start, draws (n, shard, epoch, a, b), plan):
     each draw takes the words a to b (end excluded) of row n."""
     spark = docs.sparkSession
+    ship(spark)
     rows = docs.select("n", "doc_id", "source", "size", "text_key")
     per = rows.groupBy("source").agg(F.sum("size").alias("size"), F.count("*").alias("rows")).collect()
     plan = Plan([(r["source"], r["size"]) for r in per], block, most, seed)
@@ -216,6 +272,7 @@ def _cutter(batches):
 def mix_documents(docs: DataFrame, block: int = 512, seed: int = 17) -> DataFrame:
     """docs (doc_id, text, lang, source) -> the mix as (doc_id, text, lang, source, n_chars): a row for each document and epoch that the mix takes words of,
     with those words. Documents that it takes nothing of, and those without words, are not in it."""
+    ship(docs.sparkSession)
     numbered = _numbered(docs, "numbered", "text", "lang")
     _, draws, _ = mix_rows(numbered, block, seed=seed)
     spans = draws.groupBy("n", "epoch").agg(F.collect_list(F.struct("a", "b")).alias("s"))  # at most the blocks of one document
