@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -12,6 +13,7 @@ from ..session import ship
 
 #: A word of a text: a run of anything but space, tab, line feed, vertical tab, form feed and carriage return.
 WORD = r"[^\x20\x09-\x0D]+"
+_MADE: dict[str, list[str]] = {}  # scratch folders by application
 
 
 def id_crc(col: str = "doc_id") -> Column:
@@ -29,13 +31,27 @@ def words(col: str | Column) -> Column:
 
 
 def scratch(spark: SparkSession) -> str:
-    """A new folder under the shared checkpoint folder; one is set up only where the session names none."""
+    """A new folder under the shared checkpoint folder. Where the session names none, one of this machine's is set up if all tasks run here; on a cluster that is an error."""
     ship(spark)
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
+        if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         base = "file://" + tempfile.mkdtemp(prefix="viewsize-")
         spark.sparkContext.setCheckpointDir(base)
-    return f"{base.rstrip('/')}/viewsize-{uuid.uuid4().hex}"
+    path = f"{base.rstrip('/')}/viewsize-{uuid.uuid4().hex}"
+    _MADE.setdefault(spark.sparkContext.applicationId, []).append(path)
+    return path
+
+
+def clean(spark: SparkSession) -> int:
+    """Delete the scratch tables that this application has written, once no result that reads them is needed any more; gives their number."""
+    made = _MADE.pop(spark.sparkContext.applicationId, [])
+    conf = spark._jsc.hadoopConfiguration()
+    for path in made:
+        at = spark._jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(conf).delete(at, True)
+    return len(made)
 
 
 def settle(df: DataFrame, name: str = "table") -> DataFrame:
@@ -50,13 +66,24 @@ def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     ship(spark)
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, max_rows: int, seed: int) -> DataFrame:
-    """(doc_id string, label int, text) of at most about ``max_rows`` labelled documents, half for each label 0 and 1 where there are
-    enough, drawn by a keyed hash of the id. The drawn labels are bounded, so they are what is broadcast; texts are never shuffled."""
-    rows = labels.where(F.col(label).isin(0, 1)).select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("label"))
+
+def keyed_order(seed: int, col: str) -> Column:
+    """A keyed hash of a column, the order in which bounded samples are drawn."""
+    return F.xxhash64(F.lit(seed), col)
+
+
+def keyed_share(order: str) -> Column:
+    """Such a hash as a number from 0 to 1."""
+    return F.col(order).bitwiseAND(F.lit((1 << 53) - 1)) / float(1 << 53)
+
+
+def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, max_rows: int, seed: int, *more: str) -> DataFrame:
+    """(doc_id, label int, text, more columns of labels) of at most about ``max_rows`` labelled documents, half for each label 0 and 1 where there are
+    enough, drawn by a keyed hash of the id, the same whenever it runs. The drawn labels are bounded, so they are what is broadcast; texts are never shuffled."""
+    rows = labels.where(F.col(label).isin(0, 1)).select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("label"), *more)
     n = {r["label"]: r["count"] for r in rows.groupBy("label").count().collect()}
-    unit = F.xxhash64(F.lit(seed), "doc_id").bitwiseAND(F.lit((1 << 53) - 1)) / float(1 << 53)
     rate = [min(1.0, max_rows / 2 / n.get(i, 1)) for i in (0, 1)]
-    drawn = rows.where(unit < F.when(F.col("label") == 0, F.lit(rate[0])).otherwise(F.lit(rate[1]))).limit(2 * max_rows)
+    drawn = rows.withColumn("o", keyed_order(seed, "doc_id")).where(keyed_share("o") < F.when(F.col("label") == 0, F.lit(rate[0])).otherwise(F.lit(rate[1])))
+    drawn = drawn.orderBy("o", "doc_id", "label").limit(2 * max_rows).select("doc_id", "label", *more)
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return texts.join(F.broadcast(drawn), "doc_id").select("doc_id", "label", "text")
+    return texts.join(F.broadcast(drawn), "doc_id").select("doc_id", "label", "text", *more)

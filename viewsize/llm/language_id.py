@@ -14,6 +14,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..session import ship
+from .common import keyed_order, keyed_share
 from .ftrl import FtrlSoftmax, fit_temperature, softmax
 
 BITS = 15
@@ -70,7 +72,7 @@ def _featurise(batches):
     for batch in batches:
         found = [ngrams(t.as_py()) or (np.empty(0, np.int64),) * 2 for t in batch.column(1)]
         yield pa.RecordBatch.from_arrays(
-            [batch.column(0), pa.array([a.astype(np.uint16).tobytes() for a, _ in found], pa.binary()), pa.array([np.minimum(c, 65535).astype(np.uint16).tobytes() for _, c in found], pa.binary())],
+            [batch.column(0), pa.array([a.astype(np.uint16).tobytes() for a, _ in found], pa.binary()), pa.array([c.astype(np.uint32).tobytes() for _, c in found], pa.binary())],
             names=["lang", "buckets", "counts"],
         )
 
@@ -97,9 +99,11 @@ class LanguageModel:
 
 def train(labelled: DataFrame, max_rows: int = 3000, seed: int = 7, **ftrl) -> LanguageModel:
     """labelled (doc_id, text, lang). ``max_rows``: bound of the rows that the weights are fitted on, shared equally by the
-    languages; every row counts in the document frequencies. Null languages are left out; no rows give a model that knows nothing."""
+    languages; every row counts in the document frequencies, and every language is learned, of one row at least if its draw allows. Null languages are
+    left out; no rows give a model that knows nothing."""
+    ship(labelled.sparkSession)
     rows = labelled.where("lang is not null").select(F.col("doc_id").cast("string").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang"))
-    per_lang = {r["lang"]: r["count"] for r in rows.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(500).collect()}
+    per_lang = {r["lang"]: r["count"] for r in rows.groupBy("lang").count().collect()}
     df = {r["bucket"]: r["df"] for r in rows.select("text").mapInArrow(_document_frequencies, "bucket long, df long").groupBy("bucket").agg(F.sum("df").alias("df")).collect()}
     idf = np.zeros(1 << BITS, np.float64)
     total = df.pop(-1, 0)
@@ -109,17 +113,20 @@ def train(labelled: DataFrame, max_rows: int = 3000, seed: int = 7, **ftrl) -> L
     if not langs:
         return LanguageModel([], idf, np.zeros((1 << BITS, 0)), np.zeros(0), 1.0)
     share = max(1, max_rows // len(langs))
-    unit = F.xxhash64(F.lit(seed), "doc_id").bitwiseAND(F.lit((1 << 53) - 1)) / float(1 << 53)
-    rate = F.lit(0.0)
-    for lang, n in per_lang.items():
-        rate = F.when(F.col("lang") == lang, F.lit(min(1.0, share / n))).otherwise(rate)
-    sample = rows.where(unit < rate).select("lang", "text").mapInArrow(_featurise, "lang string, buckets binary, counts binary").limit(2 * max_rows).collect()
+    # One row a language, as many as the model has classes.
+    rates = labelled.sparkSession.createDataFrame([(lang, min(1.0, share / n)) for lang, n in per_lang.items()], "lang string, rate double")
+    drawn = rows.withColumn("o", keyed_order(seed, "doc_id")).join(F.broadcast(rates), "lang").where(keyed_share("o") < F.col("rate"))
+    most = 2 * max(max_rows, len(langs))
+    first = [r["o"] for r in drawn.select("o").orderBy("o").limit(most + 1).collect()]
+    if len(first) > most:  # repeated ids: what comes first by the hash is kept
+        drawn = drawn.where(F.col("o") <= first[-2]).orderBy("o", F.xxhash64("text")).limit(most)
+    sample = drawn.select("lang", "text").mapInArrow(_featurise, "lang string, buckets binary, counts binary").collect()
     model = LanguageModel(langs, idf, np.zeros((1 << BITS, len(langs))), np.zeros(len(langs)), 1.0)
     code = {lang: i for i, lang in enumerate(langs)}
     data, y = [], []
     for r in sorted(((r["lang"], bytes(r["buckets"]), bytes(r["counts"])) for r in sample if len(r["buckets"]))):
         at = np.frombuffer(r[1], np.uint16).astype(np.int32)
-        data.append((at, model.vector(at, np.frombuffer(r[2], np.uint16).astype(np.float64)).astype(np.float32)))
+        data.append((at, model.vector(at, np.frombuffer(r[2], np.uint32).astype(np.float64)).astype(np.float32)))
         y.append(code[r[0]])
     y, held = np.array(y, np.int64), np.arange(len(y)) % 5 == 4
     fit = FtrlSoftmax(1 << BITS, len(langs), **ftrl).fit([d for d, h in zip(data, held) if not h], y[~held], seed=seed)
@@ -133,6 +140,7 @@ def identify(docs: DataFrame, model: LanguageModel, extra: dict[str, Column] | N
     """One row per document: (doc_id, <extra>, lang_pred, score). ``score`` is the tempered probability of the predicted
     language. Null, empty and letterless texts: 'und' with score 0. Ties go to the language first in code-point order. Equal texts
     get equal results; repeated rows and null ids pass through; other columns of docs are ignored."""
+    ship(docs.sparkSession)
     extra = extra or {}
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *(c.alias(n) for n, c in extra.items()), F.col("text").cast("string").alias("input_text"))
     shared = docs.sparkSession.sparkContext.broadcast(model)

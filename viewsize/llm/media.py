@@ -27,6 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
+from ..session import ship
 from .common import scratch, settle
 
 ROW = 64
@@ -139,6 +140,7 @@ def _writer(folder: str):
 
 def write_archives(docs: DataFrame, folder: str) -> DataFrame:
     """docs (doc_id, text) into archives under folder; gives the manifest (archive, members, bytes) of the committed ones."""
+    ship(docs.sparkSession)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     return settle(rows.mapInArrow(_writer(folder), "archive string, members long, bytes long"), "manifest")
 
@@ -200,7 +202,7 @@ def fetch(fs: pafs.FileSystem, path: str, offset: int, stored: int, crc: int, ha
 class ArchiveReader(DataSourceReader):
     def __init__(self, options: dict):
         self.folder, self.attempts = options["path"], int(options.get("attempts", "3"))
-        self.split = int(options.get("splitbytes", str(16 << 20)))
+        self.split = int(options.get("splitbytes", str(64 << 20)))
         self.archives = options.get("archives")
 
     def partitions(self) -> list[ByteRange]:
@@ -259,6 +261,7 @@ class PayloadArchive(DataSource):
 
 def read_archives(spark: SparkSession, folder: str, manifest: DataFrame | None = None, **options: str) -> DataFrame:
     """The members of the archives of a folder, or of those in a manifest (one short row for each writing task is gathered)."""
+    ship(spark)
     spark.dataSource.register(PayloadArchive)
     reader = spark.read.format("payload_archive").options(**options)
     if manifest is not None:

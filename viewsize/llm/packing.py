@@ -18,6 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..session import ship
 from .common import settle, words
 
 CAPACITIES = (512, 1024, 2048, 4096)
@@ -27,6 +28,8 @@ FIXED_COST, ATTENTION = 32, 16_384
 
 def cost(capacity: int, fixed: float = FIXED_COST, attention: float = ATTENTION) -> float:
     return capacity + fixed + capacity * capacity / attention
+
+
 _CHUNK_ROWS = 20_000
 
 
@@ -118,6 +121,7 @@ def pack_documents(docs: DataFrame, capacities: tuple[int, ...] = CAPACITIES, fi
     words (null, empty, blank) keep one row with no bin (nulls) and n_words 0. Repeated rows and null ids are packed like any other; ties are in order of
     doc_id; no rows give no rows; other columns are ignored."""
     spark, top = docs.sparkSession, max(capacities)
+    ship(spark)
     size = words(F.col("text").cast("string"))
     rows = settle(docs.select(F.monotonically_increasing_id().alias("n"), F.col("doc_id").cast("long").alias("doc_id"), size.alias("words")), "sizes")
     piece = F.explode(F.sequence(F.lit(0).cast("long"), F.greatest(F.lit(0).cast("long"), F.floor((F.col("words") - 1) / top).cast("long"))))

@@ -1,4 +1,4 @@
-"""Document quality from preference pairs: a Bradley-Terry model on surface statistics of the text.
+"""Document quality from preference pairs: a Bradley-Terry model on statistics of the text's surface and on its content, as hashed character trigrams.
 
 Every labelled pair (better, worse) says that one score exceeds another; the score is linear in the statistics, so the
 logistic loss on a pair depends on the difference of two rows alone. The raw score is then cut at the quantile that
@@ -14,16 +14,31 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..session import ship
 from .common import labelled_sample
 
-FEATURES = (
+#: Buckets of the hashed trigrams.
+GRAMS = 256
+SURFACE = (
     "log_bytes", "log_words", "mean_word", "upper", "digits", "blank", "newlines", "letters", "high_bytes", "pipes", "shouts", "marks", "odd_marks",
     "stops", "commas", "repeat_next", "distinct_words", "top_word", "pipe_words", "mark_tailed", "upper_words", "log_repeat", "log_pipes", "log_marks", "log_upper",
 )
+FEATURES = SURFACE + tuple(f"gram_{i}" for i in range(GRAMS))
+#: Penalties of the surface statistics' and of the trigrams' weights.
+L2 = np.repeat([1e-3, 5e-2], [len(SURFACE), GRAMS])
+
+
+def grams(raw: bytes) -> np.ndarray:
+    """Square roots of the shares of the hashed trigrams of bytes, ASCII letters lower-cased."""
+    a = np.frombuffer(raw.lower(), np.uint8).astype(np.uint32)
+    if len(a) < 3:
+        return np.zeros(GRAMS)
+    h = (a[:-2] << np.uint32(16) | a[1:-1] << np.uint32(8) | a[2:]) * np.uint32(0x9E3779B1)
+    return np.sqrt(np.bincount(h >> np.uint32(24), minlength=GRAMS) / (len(a) - 2))
 
 
 def statistics(text: str | None) -> np.ndarray:
-    """The statistics of a whole text; all but the lengths are shares of its bytes or words. Null counts as empty."""
+    """The features of a whole text; all but the lengths are shares of its bytes, words or trigrams. Null counts as empty."""
     raw = (text or "").encode("utf-8", "surrogatepass")
     n = max(1, len(raw))
     c = np.bincount(np.frombuffer(raw, np.uint8), minlength=256)
@@ -41,10 +56,11 @@ def statistics(text: str | None) -> np.ndarray:
     shouted = sum(map(bytes.isupper, found)) / m
     pipes = found.count(b"|") / m
     up = upper / max(1, upper + lower)
-    return np.array([
+    own = np.array([
         np.log1p(len(raw)), np.log1p(len(found)), len(raw) / m if found else 0.0, up, digits / n, c[32] / n, c[10] / n, (upper + lower) / n, c[128:].sum() / n, c[124] / n, c[33] / n, marks / n, odd / n,
         c[46] / n, c[44] / n, repeat, len(tally) / m, top, pipes, tailed, shouted, np.log1p(50 * repeat), np.log1p(50 * c[124] / n), np.log1p(50 * odd / n), np.log1p(20 * up),
     ])
+    return np.concatenate([own, grams(raw)])
 
 
 @dataclass
@@ -57,7 +73,7 @@ class QualityModel:
     cut: float
 
     def score(self, rows: np.ndarray) -> np.ndarray:
-        raw = np.clip((rows - self.mean) / self.scale, -8, 8) @ self.weights
+        raw = (np.clip((rows - self.mean) / self.scale, -8, 8) * self.weights).sum(axis=1)  # row by row, so that equal rows score alike in any batch
         x = self.slope * (raw - self.at_cut) + np.log(self.cut / (1 - self.cut))
         return 1.0 / (1.0 + np.exp(-np.clip(x, -500, 500)))
 
@@ -69,13 +85,13 @@ def _pairs(good: np.ndarray, bad: np.ndarray, n_pairs: int, rng: np.random.Gener
     return draw(good) - draw(bad)
 
 
-def bradley_terry(diff: np.ndarray, l2: float = 1e-3, steps: int = 40) -> np.ndarray:
+def bradley_terry(diff: np.ndarray, l2: float | np.ndarray = 1e-3, steps: int = 40) -> np.ndarray:
     """The weights with the least mean logistic loss on differences (better minus worse), by Newton steps."""
     w = np.zeros(diff.shape[1])
     for _ in range(steps):
         p = 1.0 / (1.0 + np.exp(np.clip(diff @ w, -500, 500)))
         grad = -(diff * p[:, None]).mean(axis=0) + l2 * w
-        hess = (diff * (p * (1 - p))[:, None]).T @ diff / len(diff) + l2 * np.eye(len(w))
+        hess = (diff * (p * (1 - p))[:, None]).T @ diff / len(diff) + np.diag(np.broadcast_to(l2, len(w)))
         step = np.linalg.solve(hess, grad)
         w -= step
         if np.abs(step).max() < 1e-6:
@@ -90,7 +106,7 @@ def fit(rows: np.ndarray, y: np.ndarray, cut: float = 0.3, n_pairs: int = 20_000
         return QualityModel(np.zeros(d), np.ones(d), np.zeros(d), 1.0 if len(y) and y.max() == 0 else -1.0, 3.0, cut)
     mean, scale = rows.mean(axis=0), np.maximum(rows.std(axis=0), 1e-6)
     x = np.clip((rows - mean) / scale, -8, 8)
-    w = bradley_terry(_pairs(x[y == 1], x[y == 0], n_pairs, np.random.default_rng(seed)))
+    w = bradley_terry(_pairs(x[y == 1], x[y == 0], n_pairs, np.random.default_rng(seed)), L2)
     raw = x @ w
     order = np.argsort(raw, kind="stable")
     below = np.cumsum(np.r_[0, y[order] == 0])  # bad rows caught if the lowest i rows are rejected
@@ -107,6 +123,7 @@ def fit(rows: np.ndarray, y: np.ndarray, cut: float = 0.3, n_pairs: int = 20_000
 def train(docs: DataFrame, labels: DataFrame, max_rows: int = 8000, seed: int = 5, **how) -> QualityModel:
     """docs (doc_id, text), labels (doc_id, quality). ``max_rows``: bound of the labelled rows that the model is fitted on, half
     for each label where there are enough. Null labels and labels without a document are left out."""
+    ship(docs.sparkSession)
     sample = labelled_sample(docs, labels, "quality", max_rows, seed).select("label", "text").mapInArrow(_featurise, "label int, x binary").collect()
     got = sorted((bytes(r["x"]), r["label"]) for r in sample)
     x = np.array([np.frombuffer(b, np.float64) for b, _ in got]).reshape(len(got), len(FEATURES))
@@ -121,6 +138,7 @@ def _featurise(batches):
 def rate(docs: DataFrame, model: QualityModel, extra: dict[str, Column] | None = None) -> DataFrame:
     """One row per document: (doc_id, <extra>, score, predicted); predicted is 1 from the model's cut on. Null texts count as
     empty, which are scored like any other; equal texts score alike; repeated rows and null ids pass through; other columns are ignored."""
+    ship(docs.sparkSession)
     extra = extra or {}
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *(c.alias(n) for n, c in extra.items()), F.col("text").cast("string").alias("input_text"))
     shared = docs.sparkSession.sparkContext.broadcast(model)
