@@ -13,7 +13,7 @@ from . import reference as R
 
 def rows_of(spark, ys, L):
     signed = [y - 2**64 if y >= 2**63 else y for y in ys]
-    return spark.createDataFrame([("v", 0, y, str(i)) for i, y in enumerate(signed)], "view_id string, seed int, y long, key string")
+    return spark.createDataFrame([("v", 0, y, i) for i, y in enumerate(signed)], "view_id string, seed int, y long, key long")
 
 
 @pytest.fixture(scope="module", params=[(32, 5000), (64, 3000), (64, 40)])

@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 MIN_LONG = -(2**63)
+_KEY_SEED = 0x51ED270B
 #: A stored table is broadcast up to so many rows; beyond, it is joined by shuffling.
 BROADCAST_ROWS = 200_000
 
@@ -116,6 +117,15 @@ def tuple_key(dims: dict[str, Column]) -> Column:
     return F.concat_ws("|", *[part(c) for c in dims.values()])
 
 
+def key_hash(name: str, value: Column) -> Column:
+    """One dimension's entry in the second family of tables, which tells apart tuples that share a hash: always 64 bits, and blind to the seed."""
+    return F.xxhash64(F.lit(_KEY_SEED), F.lit(name), value.isNull().cast("int"), value)
+
+
+def key_all(parts: list[Column]) -> Column:
+    return F.xxhash64(reduce(lambda a, b: a.bitwiseXOR(b), parts))
+
+
 # Stored tables.
 
 

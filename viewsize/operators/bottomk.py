@@ -1,7 +1,7 @@
 """Generalized Counting: the M smallest hashes with their tuples.
 
-Three plans give the same state. ``native`` removes duplicates and cuts by rank; ``partial`` lets each task keep M rows first; ``threshold`` filters
-by a bound on the hash that a small Adaptive Counting pass suggests, and doubles it where it proves too low."""
+Three plans give the same state. ``threshold`` (the default) first reads an upper bound of the M-th smallest hash off a register pass and makes and
+compares the tuples of hashes within it alone; ``native`` removes duplicates and cuts by rank; ``partial`` lets each task keep M rows over Arrow first."""
 
 from __future__ import annotations
 
@@ -21,34 +21,34 @@ def _cut(rows: DataFrame, M: int) -> DataFrame:
 
 
 def _keyed(rows: DataFrame, L: int, key: str) -> DataFrame:
-    tuple_ = F.col("key") if key == "tuple" else F.lit("")
+    tuple_ = F.col("key") if key == "tuple" else F.lit(0).cast("bigint")
     return rows.select("view_id", "seed", order_key(F.col("y"), L).alias("h"), tuple_.alias("key"))
 
 
-def gc_state(rows: DataFrame, M: int, L: int, plan: str = "native", key: str = "tuple", guess_m: int = 256) -> DataFrame:
+def upper_bounds(rows: DataFrame, M: int, L: int) -> DataFrame:
+    """(view_id, seed, bound): at least M distinct hashes of the view are at most ``bound``; views without a row here may keep everything.
+
+    The least hash of each of 4M buckets (by low bits) is a distinct hash of the view, so the M-th smallest of these can't be below the M-th smallest of all;
+    about 1.15 M hashes are within it. One aggregate with map-side combine, at most 8M rows for each view and task."""
+    buckets = 1 << (4 * M - 1).bit_length()
+    least = rows.select(*KEYS, F.col("y").bitwiseAND(F.lit(buckets - 1).cast("bigint")).alias("bucket"), order_key(F.col("y"), L).alias("h")).groupBy(*KEYS, "bucket").agg(F.min("h").alias("h"))
+    by = Window.partitionBy(*KEYS).orderBy("h")
+    return least.withColumn("r", F.row_number().over(by)).where(F.col("r") == M).select(*KEYS, F.col("h").alias("bound"))
+
+
+def gc_state(rows: DataFrame, M: int, L: int, plan: str = "threshold", key: str = "tuple") -> DataFrame:
     """rows (view_id, seed, y, key) -> (view_id, seed, h, key), h in the hash's unsigned order. key='hash': tuples of equal hash count once."""
     if M < 1:
         raise ValueError("M must be positive")
-    own = _keyed(rows, L, key)
     if plan == "native":
-        return _cut(own.distinct(), M)
+        return _cut(_keyed(rows, L, key).distinct(), M)
     if plan == "partial":
         ship(rows.sparkSession)
-        return _cut(own.mapInArrow(partial.bottom(M), partial.SCHEMA).distinct(), M)
+        return _cut(_keyed(rows, L, key).mapInArrow(partial.bottom(M), partial.SCHEMA).distinct(), M)
     if plan != "threshold":
         raise ValueError(f"unknown plan {plan}")
-    guess = counting.ac_estimate(counting.ll_state(rows, guess_m, L), guess_m).select(*KEYS, F.greatest(F.lit(1.0), F.col("estimate")).alias("guess"))
-    factor = 2.0
-    while True:
-        share = F.least(F.lit(1.0), F.lit(factor * M) / F.col("guess"))
-        bound = F.floor(share * F.lit(float(2**L)) - F.lit(float(2**63) if L == 64 else 0.0))
-        low = (share >= 1.0) | (F.col("h") < F.when(share < 1.0, bound.cast("bigint")))
-        found = own.join(F.broadcast(guess), list(KEYS)).where(low).select("view_id", "seed", "h", "key").distinct()
-        short = found.groupBy(*KEYS).agg(F.count("*").alias("c")).join(guess, list(KEYS), "right")
-        short = short.where((F.coalesce("c", F.lit(0)) < M) & (F.lit(factor * M) < F.col("guess")))
-        if not short.limit(1).count():
-            return _cut(found, M)
-        factor *= 2
+    low = rows.join(F.broadcast(upper_bounds(rows, M, L)), list(KEYS), "left").where(F.col("bound").isNull() | (order_key(F.col("y"), L) <= F.col("bound")))
+    return _cut(_keyed(low.drop("bound"), L, key).distinct(), M)  # one row a view and seed is broadcast
 
 
 def gc_merge(*states: DataFrame, M: int) -> DataFrame:

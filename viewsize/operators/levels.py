@@ -25,33 +25,38 @@ def floors(sample: DataFrame, M: int) -> DataFrame:
     return over.select(*KEYS, F.coalesce(F.col("top") + 1, F.lit(0)).cast("int").alias("level_floor"))
 
 
-def _prune(sample: DataFrame, M: int) -> DataFrame:
-    kept = sample.join(F.broadcast(floors(sample, M)), list(KEYS))  # one row a view and seed
+def _prune(sample: DataFrame, M: int, least: DataFrame | None = None) -> DataFrame:
+    """``least``: (view_id, seed, least) below which the sample holds nothing."""
+    floor = floors(sample, M)
+    if least is not None:
+        floor = floor.join(least, list(KEYS)).select(*KEYS, F.greatest("level_floor", "least").alias("level_floor"))
+    kept = sample.join(F.broadcast(floor), list(KEYS))  # one row a view and seed
     return kept.select("view_id", "seed", "key", F.when(F.col("h") >= F.col("level_floor"), F.col("h")).cast("int").alias("level"), "level_floor").where("level is not null")
 
 
-def lps_state(rows: DataFrame, M: int, L: int, plan: str = "native", guess_m: int = 256) -> DataFrame:
+def lower_floors(rows: DataFrame, M: int, L: int) -> DataFrame:
+    """(view_id, seed, least): the floor can't be below ``least``. The buckets, 4M by high bits, that hold a level of f or more are no more
+    than the distinct tuples that have one; where they exceed M, the floor is higher than f. The highest level of each bucket is all that is kept."""
+    buckets = 1 << (4 * M - 1).bit_length()
+    bucket = F.shiftrightunsigned("y", L - buckets.bit_length() + 1)
+    top = rows.select(*KEYS, bucket.alias("bucket"), counting.level(F.col("y"), L).cast("bigint").alias("h")).groupBy(*KEYS, "bucket").agg(F.max("h").alias("h"))
+    return floors(top, M).withColumnRenamed("level_floor", "least")
+
+
+def lps_state(rows: DataFrame, M: int, L: int, plan: str = "threshold") -> DataFrame:
     """rows (view_id, seed, y, key) -> (view_id, seed, key, level, level_floor)."""
     if M < 1:
         raise ValueError("M must be positive")
-    own = _leveled(rows, L)
     if plan == "native":
-        return _prune(own.distinct(), M)
+        return _prune(_leveled(rows, L).distinct(), M)
     if plan == "partial":
         ship(rows.sparkSession)
-        return lps_merge(own.mapInArrow(partial.leveled(M), partial.LEVELED_SCHEMA), M=M)
+        return lps_merge(_leveled(rows, L).mapInArrow(partial.leveled(M), partial.LEVELED_SCHEMA), M=M)
     if plan != "threshold":
         raise ValueError(f"unknown plan {plan}")
-    guess = counting.ac_estimate(counting.ll_state(rows, guess_m, L), guess_m)
-    start = guess.select(*KEYS, F.greatest(F.lit(0), F.floor(F.log2(F.greatest(F.lit(1.0), F.col("estimate") / M))).cast("int") - 2).alias("t0"))
-    back = 0
-    while True:
-        low = F.greatest(F.lit(0), F.col("t0") - back)
-        found = own.join(F.broadcast(start), list(KEYS)).where(F.col("h") >= low).select("view_id", "seed", "h", "key").distinct()
-        held = found.groupBy(*KEYS).agg(F.count("*").alias("c")).join(start, list(KEYS), "right")
-        if not held.where((F.coalesce("c", F.lit(0)) <= M) & (low > 0)).limit(1).count():
-            return _prune(found, M)
-        back = 2 * back + 2
+    least = lower_floors(rows, M, L)
+    high = rows.join(F.broadcast(least), list(KEYS)).where(counting.level(F.col("y"), L) >= F.col("least"))
+    return _prune(_leveled(high.drop("least"), L).distinct(), M, least)
 
 
 def lps_merge(*states: DataFrame, M: int) -> DataFrame:

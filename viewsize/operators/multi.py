@@ -13,7 +13,7 @@ METHODS = ("pc", "pc_guarded", "ll", "ac", "linear", "maxlevel", "gc", "gc_print
 _WITH_KEY = frozenset(("gc", "gc_printed", "lps"))
 
 
-def finish(rows: DataFrame, method: str, M: int, L: int, plan: str = "native") -> DataFrame:
+def finish(rows: DataFrame, method: str, M: int, L: int, plan: str = "threshold") -> DataFrame:
     """Hashed rows to (view_id, method, M, L, seed, estimate, branch, diag): diag holds the integers that the estimate follows from."""
     def diag(df: DataFrame, **cols: str) -> DataFrame:
         made = F.create_map(*[x for k, c in cols.items() for x in (F.lit(k), F.col(c).cast("bigint"))])
@@ -26,7 +26,6 @@ def finish(rows: DataFrame, method: str, M: int, L: int, plan: str = "native") -
     if method == "maxlevel":
         return diag(counting.max_level_estimate(counting.max_level_state(rows, L)), a="a")
     if method in ("gc", "gc_printed", "gc_hashkey"):
-        rows = rows if "key" in rows.columns else rows.withColumn("key", F.lit(""))
         state = bottomk.gc_state(rows, M, L, plan, "hash" if method == "gc_hashkey" else "tuple")
         return diag(bottomk.gc_estimate(state, M, L, method != "gc_printed"), kept="kept", top="top")
     if method == "lps":
@@ -34,7 +33,7 @@ def finish(rows: DataFrame, method: str, M: int, L: int, plan: str = "native") -
     raise ValueError(f"unknown method {method}")
 
 
-def estimate_many(df: DataFrame, views: list[ViewSpec], methods: list[str] = ("ac",), M: int | list[int] = 2048, spec: HashSpec = HashSpec(), plan: str = "native") -> DataFrame:
+def estimate_many(df: DataFrame, views: list[ViewSpec], methods: list[str] = ("ac",), M: int | list[int] = 2048, spec: HashSpec = HashSpec(), plan: str = "threshold") -> DataFrame:
     """One row per view, method and M. The scan and the dimension hashes are shared by all views of a method; Spark reuses them over methods where it can."""
     out = None
     for method in methods:
@@ -45,6 +44,6 @@ def estimate_many(df: DataFrame, views: list[ViewSpec], methods: list[str] = ("a
     return out
 
 
-def estimate(df: DataFrame, dims: list, method: str = "ac", M: int = 2048, spec: HashSpec = HashSpec(), where: str | None = None, plan: str = "native") -> DataFrame:
+def estimate(df: DataFrame, dims: list, method: str = "ac", M: int = 2048, spec: HashSpec = HashSpec(), where: str | None = None, plan: str = "threshold") -> DataFrame:
     """The size of one view: a lazy one-row DataFrame."""
     return estimate_many(df, [ViewSpec("view", tuple(dims), "facts", where)], [method], M, spec, plan)

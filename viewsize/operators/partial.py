@@ -1,6 +1,6 @@
 """Bounded partial states of the sample-type sketches, kept by each task over Arrow batches: what a task sends on is at most M rows for each view and seed.
 
-A batch is compared with each view's bound as an array; only the rows that pass become Python values."""
+Batches and states are arrays: a batch is cut by each view's bound and freed of repetitions before it meets the state."""
 
 from __future__ import annotations
 
@@ -9,8 +9,8 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 
-SCHEMA = "view_id string, seed int, h long, key string"
-LEVELED_SCHEMA = "view_id string, seed int, key string, level int, level_floor int"
+SCHEMA = "view_id string, seed int, h long, key long"
+LEVELED_SCHEMA = "view_id string, seed int, key long, level int, level_floor int"
 
 
 def _views(batch: pa.RecordBatch) -> Iterator[tuple[tuple, np.ndarray]]:
@@ -26,30 +26,32 @@ def _views(batch: pa.RecordBatch) -> Iterator[tuple[tuple, np.ndarray]]:
             yield (names[c // len(seeds)], int(seeds[c % len(seeds)])), own
 
 
+def _distinct(h: np.ndarray, key: np.ndarray) -> np.ndarray:
+    """Positions of the distinct (h, key), in their order."""
+    order = np.lexsort((key, h))
+    first = np.ones(len(order), bool)
+    first[1:] = (np.diff(h[order]) != 0) | (np.diff(key[order]) != 0)
+    return order[first]
+
+
 def bottom(M: int):
-    """Keeps the M smallest (h, key) of each view. A view's rows gather up to twice M before they are cut, which also lowers its bound."""
+    """Keeps the M smallest (h, key) of each view."""
 
     def run(batches):
-        held: dict[tuple, set] = {}
-        bound: dict[tuple, int] = {}
+        held: dict[tuple, tuple[np.ndarray, np.ndarray]] = {}
+        none = np.empty(0, np.int64)
         for batch in batches:
-            h, key = batch.column("h").to_numpy(), batch.column("key")
+            h, key = batch.column("h").to_numpy(), batch.column("key").to_numpy()
             for view, own in _views(batch):
-                if (limit := bound.get(view)) is not None:
-                    own = own[h[own] <= limit]
-                if not len(own):
-                    continue
-                mine = held.setdefault(view, set())
-                mine.update(zip(h[own].tolist(), key.take(pa.array(own)).to_pylist()))
-                if len(mine) > 2 * M:
-                    low = sorted(mine)[:M]
-                    held[view], bound[view] = set(low), low[-1][0]
-        for (view, seed), mine in held.items():
-            low = sorted(mine)[:M]
-            n = len(low)
-            yield pa.RecordBatch.from_pydict({
-                "view_id": pa.array([view] * n, pa.string()), "seed": pa.array([seed] * n, pa.int32()), "h": pa.array([x[0] for x in low], pa.int64()), "key": pa.array([x[1] for x in low], pa.string()),
-            })
+                now = held.get(view, (none, none))
+                if len(now[0]) == M:
+                    own = own[h[own] <= now[0][-1]]
+                if len(own):
+                    both = np.concatenate([now[0], h[own]]), np.concatenate([now[1], key[own]])
+                    at = _distinct(*both)[:M]
+                    held[view] = both[0][at], both[1][at]
+        for (view, seed), (h, key) in held.items():
+            yield pa.RecordBatch.from_arrays([pa.array([view] * len(h), pa.string()), pa.array(np.full(len(h), seed, np.int32)), pa.array(h), pa.array(key)], names=["view_id", "seed", "h", "key"])
 
     return run
 
@@ -58,26 +60,27 @@ def leveled(M: int):
     """Keeps the distinct tuples of at least a floor that rises while there are more than M; a view's floor comes with its rows, and alone (null key) if none is left."""
 
     def run(batches):
-        held: dict[tuple, dict[str, int]] = {}
-        floor: dict[tuple, int] = {}
+        held: dict[tuple, tuple[np.ndarray, np.ndarray, int]] = {}
+        none = np.empty(0, np.int64)
         for batch in batches:
-            level, key = batch.column("h").to_numpy(), batch.column("key")
+            level, key = batch.column("h").to_numpy(), batch.column("key").to_numpy()
             for view, own in _views(batch):
-                mine, f = held.setdefault(view, {}), floor.setdefault(view, 0)
-                own = own[level[own] >= f]
-                if not len(own):
-                    continue
-                mine.update(zip(key.take(pa.array(own)).to_pylist(), level[own].tolist()))
-                while len(mine) > M:
-                    f += 1
-                    mine = {t: v for t, v in mine.items() if v >= f}
-                held[view], floor[view] = mine, f
-        for (view, seed), mine in held.items():
-            f, mine = floor[view, seed], mine or {None: -1}
-            n = len(mine)
-            yield pa.RecordBatch.from_pydict({
-                "view_id": pa.array([view] * n, pa.string()), "seed": pa.array([seed] * n, pa.int32()), "key": pa.array(list(mine), pa.string()),
-                "level": pa.array(list(mine.values()), pa.int32()), "level_floor": pa.array([f] * n, pa.int32()),
-            })
+                levels, keys, floor = held.get(view, (none, none, 0))
+                own = own[level[own] >= floor]
+                if len(own):
+                    levels, keys = np.concatenate([levels, level[own]]), np.concatenate([keys, key[own]])
+                    at = _distinct(levels, keys)
+                    levels, keys = levels[at], keys[at]
+                    while len(levels) > M:  # in order of levels, so a floor is a cut
+                        floor = max(floor + 1, int(levels[-M - 1]) + 1)
+                        cut = int(np.searchsorted(levels, floor))
+                        levels, keys = levels[cut:], keys[cut:]
+                held[view] = levels, keys, floor
+        for (view, seed), (levels, keys, floor) in held.items():
+            n = max(1, len(levels))
+            yield pa.RecordBatch.from_arrays([
+                pa.array([view] * n, pa.string()), pa.array(np.full(n, seed, np.int32)), pa.array(keys if len(keys) else [None], pa.int64()),
+                pa.array(levels.astype(np.int32) if len(levels) else [-1], pa.int32()), pa.array(np.full(n, floor, np.int32)),
+            ], names=["view_id", "seed", "key", "level", "level_floor"])
 
     return run

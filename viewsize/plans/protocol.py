@@ -18,7 +18,7 @@ def seeded(df: DataFrame, n_seeds: int) -> DataFrame:
     return df.withColumn("seed", F.explode(F.sequence(F.lit(0), F.lit(n_seeds - 1))))
 
 
-def run(df: DataFrame, views: list[ViewSpec], methods: list[str], ms: list[int], n_seeds: int = 20, spec: HashSpec = HashSpec(), plan: str = "native") -> DataFrame:
+def run(df: DataFrame, views: list[ViewSpec], methods: list[str], ms: list[int], n_seeds: int = 20, spec: HashSpec = HashSpec(), plan: str = "threshold") -> DataFrame:
     """runs (view_id, method, M, L, seed, estimate, branch, diag, exact). All sketches depend on the set of tuples alone, so the facts are grouped once for a
     view, which also gives the exact size, and the seeds are rows beside the tuples. The hashed tuples of all views are kept (persisted) for the
     grid; every method and M then handles all views in one pass."""

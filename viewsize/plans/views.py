@@ -7,7 +7,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.hashing import HashSpec, canonical, dim_hash, tuple_key, xor_all
+from ..functions.hashing import HashSpec, canonical, dim_hash, key_all, key_hash, xor_all
 from ..sources import data
 
 
@@ -100,7 +100,8 @@ def tuples(df: DataFrame, view: ViewSpec) -> DataFrame:
 
 
 def hashed(df: DataFrame, view: ViewSpec, spec: HashSpec, key: bool = False, bound: bool = False) -> DataFrame:
-    """(view_id, seed, y[, key]) for each fact: no shuffle, no Python. With a seed column in spec, df must hold it; ``bound``: df is bound already."""
+    """(view_id, seed, y[, key]) for each fact: no shuffle, no Python. With a seed column in spec, df must hold it; ``bound``: df is bound already. The key,
+    a second hash of 64 bits that no seed changes, stands for the tuple: two tuples of one hash are told apart but for a chance of 2^-64."""
     seed = spec.seed_column().cast("int").alias("seed")
     if bound:
         cols = {n: F.col(n) for n in view.names}
@@ -110,7 +111,7 @@ def hashed(df: DataFrame, view: ViewSpec, spec: HashSpec, key: bool = False, bou
         src = (df.where(view.where) if view.where else df).select(*[c.alias(n) for n, c in view.raw().items()], *keep)
         cols = {f.name: canonical(F.col(f"`{f.name}`"), f.dataType) for f in src.schema.fields if f.name not in keep}
     y = xor_all([dim_hash(n, c, spec) for n, c in cols.items()], spec)
-    return src.select(F.lit(view.name).alias("view_id"), seed, y.alias("y"), *([tuple_key(cols).alias("key")] if key else []))
+    return src.select(F.lit(view.name).alias("view_id"), seed, y.alias("y"), *([key_all([key_hash(n, c) for n, c in cols.items()]).alias("key")] if key else []))
 
 
 def hashed_many(df: DataFrame, views: list[ViewSpec], spec: HashSpec, key: bool = False) -> DataFrame:
@@ -124,10 +125,20 @@ def hashed_many(df: DataFrame, views: list[ViewSpec], spec: HashSpec, key: bool
     keep = [spec.seed] if isinstance(spec.seed, str) else []
     src = (df.where(where) if where else df).select(*[c.alias(n) for n, c in raw.items()], *keep)
     cols = {f.name: canonical(F.col(f"`{f.name}`"), f.dataType) for f in src.schema.fields if f.name not in keep}
-    once = src.select(*[dim_hash(n, c, spec).alias(f"h_{n}") for n, c in cols.items()], *([c.alias(f"v_{n}") for n, c in cols.items()] if key else []), spec.seed_column().cast("int").alias("seed"))
+    hashes = {f"h_{n}": dim_hash(n, c, spec) for n, c in cols.items()} | ({f"k_{n}": key_hash(n, c) for n, c in cols.items()} if key else {})
+    once = src.select(*[c.alias(n) for n, c in hashes.items()], spec.seed_column().cast("int").alias("seed"))
     one = lambda v: F.struct(
         F.lit(v.name).alias("view_id"),
         xor_all([F.col(f"h_{n}") for n in v.names], spec).alias("y"),
-        *([tuple_key({n: F.col(f"v_{n}") for n in v.names}).alias("key")] if key else []),
+        *([key_all([F.col(f"k_{n}") for n in v.names]).alias("key")] if key else []),
     )
     return once.select("seed", F.explode(F.array(*[one(v) for v in views])).alias("x")).select("x.view_id", "seed", "x.y", *(["x.key"] if key else []))
+
+
+def sampled_tuples(df: DataFrame, view: ViewSpec, spec: HashSpec, state: DataFrame) -> DataFrame:
+    """The tuples that a state of Generalized Counting or level-pruned sampling holds, as columns, beside their (seed, key): the facts' distinct tuples, semi-joined
+    with the state's at most M keys."""
+    own = tuples(df, view)
+    cols = {n: F.col(n) for n in view.names}
+    keyed = own.withColumn("key", key_all([key_hash(n, c) for n, c in cols.items()]))
+    return keyed.join(state.where(F.col("view_id") == view.name).select("seed", "key"), "key")

@@ -90,7 +90,7 @@ def finish_bottom(updates: DataFrame, M: int, L: int) -> DataFrame:
     """The estimate from the last update of each shard (the longest chain of updates wins: a shard's M-th hash only falls)."""
     from ..operators import bottomk
 
-    rows = updates.select("view_id", F.lit(0).alias("seed"), F.explode("hashes").alias("h"), F.lit("").alias("key")).distinct()
+    rows = updates.select("view_id", F.lit(0).alias("seed"), F.explode("hashes").alias("h"), F.lit(0).cast("bigint").alias("key")).distinct()
     return bottomk.gc_estimate(bottomk._cut(rows, M), M, L)
 
 
