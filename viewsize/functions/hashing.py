@@ -96,6 +96,8 @@ def tuple_hash(dims: dict[str, Column], spec: HashSpec) -> Column:
 
 def tuple_hash_direct(dims: dict[str, Column], spec: HashSpec) -> Column:
     """The comparator without tables: one hash of the whole tuple."""
+    if spec.mode == "md5":
+        return _hex(F.concat_ws(":", spec.seed_column().cast("string"), *[F.when(c.isNull(), F.lit("n")).otherwise(c.cast("string")) for c in dims.values()]), spec.L)
     flat = [x for c in dims.values() for x in (c.isNull().cast("int"), c)]
     return _cut(F.xxhash64(spec.seed_column().cast("bigint"), *flat), spec.L)
 
@@ -144,6 +146,22 @@ def with_lookup(df: DataFrame, dims: dict[str, Column], tables: dict[str, DataFr
     return df
 
 
+def missing_values(df: DataFrame, name: str, value: Column, table: DataFrame, spec: HashSpec) -> DataFrame:
+    """(dim, value_key, h) of the values in df that a stored table lacks, by an anti join: what is to be added to it."""
+    fresh = build_lookup(df, name, value, spec)
+    old = table.select(F.col("value_key").alias("old_key"))
+    return fresh.join(old, fresh["value_key"].eqNullSafe(old["old_key"]), "left_anti")
+
+
+def with_array_lookup(df: DataFrame, dims: dict[str, Column], sizes: dict[str, int], spec: HashSpec) -> DataFrame:
+    """df with ``h_<dim>`` from tables that are plain arrays, for whole-number dimensions of values 0 to size - 1: no join, an index instead. Other values are hashed on the fly."""
+    for name, value in dims.items():
+        entries = F.transform(F.sequence(F.lit(0).cast("bigint"), F.lit(sizes[name] - 1).cast("bigint")), lambda v: dim_hash(name, v, spec))
+        table = F.lit(None) if sizes[name] < 1 else F.try_element_at(entries, (value + 1).cast("int"))
+        df = df.withColumn(f"h_{name}", F.coalesce(F.when(value.between(0, sizes[name] - 1), table), dim_hash(name, value, spec)))
+    return df
+
+
 def persist_hashed(df: DataFrame, dims: dict[str, Column], spec: HashSpec, path: str, sort: bool = False) -> DataFrame:
     """Write the dimensions' hash columns (``h_<dim>``) for later estimates; sorted by their combination, row groups can be skipped by threshold plans."""
     out = df.select(*[dim_hash(n, c, spec).alias(f"h_{n}") for n, c in dims.items()])

@@ -1,13 +1,13 @@
-"""The same computations as SQL text for DuckDB, over md5 hashes of 32 bits, for the registered queries."""
+"""The same computations as SQL text for DuckDB, over md5 hashes of 32 or 64 bits, for the registered queries. Nothing of the engine's sketches is used here."""
 
 from __future__ import annotations
 
 import math
 
-from .operators.counting import PHI, SWITCH, alpha
 from .plans.views import ViewSpec
 
-L = 32
+# Fixed values, written out again: the bias of Probabilistic Counting, the share of empty counters for the linear count, the limit of LogLog's factor.
+_PHI, _SWITCH, _ALPHA = 0.77351, 0.051, 0.39701
 STAR = """star AS (
   SELECT l.*, o.*, c.*, s.*, p.*, year(l_shipdate) AS sy, month(l_shipdate) AS sm, CAST(l_shipdate AS DATE) AS sd, year(o_orderdate) AS oy, month(o_orderdate) AS om,
          CAST(o_orderdate AS DATE) AS od, nc.n_regionkey AS cr, ns.n_regionkey AS sr
@@ -21,63 +21,78 @@ def text(dim: str) -> str:
     return _TEXT.get(dim, f"CAST({dim} AS VARCHAR)")
 
 
-def hex32(s: str) -> str:
-    return f"CAST('0x' || substr(md5({s}), 1, 8) AS BIGINT)"
+def _alpha(M: int) -> float:
+    return _ALPHA - (2 * math.pi**2 + math.log(2) ** 2) / (48 * M)
 
 
-def dim_sql(dim: str, seed: str) -> str:
-    return hex32(f"concat_ws(':', {seed}, '{dim}', 'v', {text(dim)})")
+def _type(L: int) -> str:
+    return "UBIGINT" if L == 64 else "BIGINT"
 
 
-def tuple_sql(dims: list[str], seed: str, mix: str = "final") -> str:
-    y = dim_sql(dims[0], seed)
+def hex_of(s: str, L: int = 32) -> str:
+    return f"CAST('0x' || substr(md5({s}), 1, {L // 4}) AS {_type(L)})"
+
+
+def dim_sql(dim: str, seed: str, L: int = 32) -> str:
+    return hex_of(f"concat_ws(':', {seed}, '{dim}', 'v', {text(dim)})", L)
+
+
+def _signed(y: str, L: int) -> str:
+    """The hash as the engine prints it: 64 bits are a signed number there."""
+    return f"CAST(CAST({y} AS HUGEINT) - CASE WHEN {y} >= 9223372036854775808 THEN 18446744073709551616 ELSE 0 END AS VARCHAR)" if L == 64 else f"CAST({y} AS VARCHAR)"
+
+
+def tuple_sql(dims: list[str], seed: str, mix: str = "final", L: int = 32) -> str:
+    y = dim_sql(dims[0], seed, L)
     for d in dims[1:]:
-        y = f"xor({y}, {dim_sql(d, seed)})"
-    return hex32(f"CAST({y} AS VARCHAR)") if mix == "final" else y
+        y = f"xor({y}, {dim_sql(d, seed, L)})"
+    return hex_of(_signed(y, L), L) if mix == "final" else y
 
 
 def source(view: ViewSpec) -> tuple[str, str]:
     return (EVENTS, "ev") if view.table == "events" else (STAR, "star")
 
 
-def hashes(view: ViewSpec, seeds: list[int], mix: str = "final", where: str | None = None) -> str:
+def hashes(view: ViewSpec, seeds: list[int], mix: str = "final", where: str | None = None, L: int = 32) -> str:
     """WITH items ending in t_<view> (distinct tuples) and h_<view> (seed, y)."""
     _, table = source(view)
     dims = ", ".join(view.names)
     cond = f" WHERE {where}" if where else ""
     return (
-        f"t_{view.name} AS (SELECT DISTINCT {dims} FROM {table}{cond}),\n"
-        f"h_{view.name} AS (SELECT seed, {tuple_sql(view.names, 'CAST(seed AS VARCHAR)', mix)} AS y FROM t_{view.name}, (SELECT unnest({seeds}) AS seed))"
+        f"t_{view.name} AS MATERIALIZED (SELECT DISTINCT {dims} FROM {table}{cond}),\n"
+        f"h_{view.name} AS MATERIALIZED (SELECT seed, {tuple_sql(view.names, 'CAST(seed AS VARCHAR)', mix, L)} AS y FROM t_{view.name}, (SELECT unnest({seeds}) AS seed))"
     )
 
 
 def _zeros(w: str) -> str:
-    return f"bit_count(({w} & -{w}) - 1)"
+    return f"bit_count(xor({w}, {w} - 1)) - 1"
 
 
 def _whole(x: str) -> str:
     return f"CAST(round({x}) AS BIGINT)"
 
 
-def raw_sketch(view: ViewSpec, method: str, M: int) -> str:
+def raw_sketch(view: ViewSpec, method: str, M: int, L: int = 32) -> str:
     """SELECT view_id, seed, M, two diagnostics, branch and the estimate as a double, from h_<view>."""
     k, h, name = int(math.log2(M)), f"h_{view.name}", view.name
     head = f"SELECT '{name}' AS view_id, CAST(seed AS INTEGER) AS seed, CAST({M} AS BIGINT) AS M"
-    rank = f"CASE WHEN (y >> {k}) = 0 THEN {L - k} ELSE {_zeros(f'(y >> {k})')} END"
+    kind = _type(L)
+    bucket, rest = f"y & CAST({M - 1} AS {kind})", f"(y >> {k})"
+    rank = f"CASE WHEN {rest} = 0 THEN {L - k} ELSE {_zeros(rest)} END"
     if method in ("pc", "pc_guarded"):
-        state = f"SELECT seed, y & {M - 1} AS bucket, bit_or(CAST(1 AS BIGINT) << ({rank})) AS bits FROM {h} GROUP BY ALL"
-        agg = f"SELECT seed, CAST(sum(bit_count((~bits & -(~bits)) - 1)) AS BIGINT) AS a, {M} - count(*) AS beta FROM ({state}) GROUP BY seed"
-        small = f"beta / {M}.0 >= {SWITCH}" if method == "pc_guarded" else "FALSE"
-        return f"{head}, a, beta, CASE WHEN {small} THEN 'linear' ELSE 'counting' END AS branch, CASE WHEN {small} THEN -{M}.0 * ln(beta / {M}.0) ELSE {M / PHI!r} * pow(2.0, a / {M}.0) END AS est FROM ({agg})"
+        state = f"SELECT seed, {bucket} AS bucket, bit_or(CAST(1 AS {kind}) << ({rank})) AS bits FROM {h} GROUP BY ALL"
+        agg = f"SELECT seed, CAST(sum({_zeros('(~bits)')}) AS BIGINT) AS a, {M} - count(*) AS beta FROM ({state}) GROUP BY seed"
+        small = f"beta / {M}.0 >= {_SWITCH}" if method == "pc_guarded" else "FALSE"
+        return f"{head}, a, beta, CASE WHEN {small} THEN 'linear' ELSE 'counting' END AS branch, CASE WHEN {small} THEN -{M}.0 * ln(beta / {M}.0) ELSE {M / _PHI!r} * pow(2.0, a / {M}.0) END AS est FROM ({agg})"
     if method in ("ll", "ac", "linear"):
-        state = f"SELECT seed, y & {M - 1} AS bucket, max({rank}) + 1 AS reg FROM {h} GROUP BY ALL"
+        state = f"SELECT seed, {bucket} AS bucket, max({rank}) + 1 AS reg FROM {h} GROUP BY ALL"
         agg = f"SELECT seed, CAST(sum(reg) AS BIGINT) AS a, {M} - count(*) AS beta FROM ({state}) GROUP BY seed"
-        linear, loglog = f"CASE WHEN beta > 0 THEN -{M}.0 * ln(greatest(beta, 1) / {M}.0) END", f"{alpha(M) * M!r} * pow(2.0, a / {M}.0)"
+        linear, loglog = f"CASE WHEN beta > 0 THEN -{M}.0 * ln(greatest(beta, 1) / {M}.0) END", f"{_alpha(M) * M!r} * pow(2.0, a / {M}.0)"
         if method == "ll":
             return f"{head}, a, beta, 'loglog' AS branch, {loglog} AS est FROM ({agg})"
         if method == "linear":
             return f"{head}, a, beta, 'linear' AS branch, {linear} AS est FROM ({agg})"
-        small = f"beta / {M}.0 >= {SWITCH}"
+        small = f"beta / {M}.0 >= {_SWITCH}"
         return f"{head}, a, beta, CASE WHEN {small} THEN 'linear' ELSE 'loglog' END AS branch, CASE WHEN {small} THEN {linear} ELSE {loglog} END AS est FROM ({agg})"
     level = f"CASE WHEN y = 0 THEN {L} ELSE {_zeros('y')} END"
     if method == "maxlevel":
@@ -105,12 +120,12 @@ def sketches(views: list[ViewSpec], method: str, ms: list[int], seeds: list[int]
     return f"WITH {withs}\nSELECT view_id, seed, M, a, beta AS b, branch, {_whole('est')} AS estimate FROM ({body})"
 
 
-def runs(views: list[ViewSpec], methods: list[str], ms: list[int], n_seeds: int) -> str:
+def runs(views: list[ViewSpec], methods: list[str], ms: list[int], n_seeds: int, L: int = 32) -> str:
     """WITH ... runs (view_id, method, M, seed, est, exact)."""
     base, _ = source(views[0])
-    withs = ",\n".join([base] + [hashes(v, list(range(n_seeds))) for v in views])
+    withs = ",\n".join([base] + [hashes(v, list(range(n_seeds)), L=L) for v in views])
     body = "\nUNION ALL\n".join(
-        f"SELECT view_id, '{m}' AS method, M, seed, est, (SELECT count(*) FROM t_{v.name}) AS exact FROM ({raw_sketch(v, m, M)})" for v in views for m in methods for M in ms
+        f"SELECT view_id, '{m}' AS method, M, seed, est, (SELECT count(*) FROM t_{v.name}) AS exact FROM ({raw_sketch(v, m, M, L)})" for v in views for m in methods for M in ms
     )
     return f"WITH {withs},\nruns AS ({body})"
 

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions.hashing import HashSpec
 from ..operators import counting, levels, multi
+from ..session import settle
 from .views import ViewSpec, hashed, tuples
 
 _KEYED = ("gc", "gc_printed", "lps")
@@ -20,23 +21,32 @@ def seeded(df: DataFrame, n_seeds: int) -> DataFrame:
 
 def run(df: DataFrame, views: list[ViewSpec], methods: list[str], ms: list[int], n_seeds: int = 20, spec: HashSpec = HashSpec(), plan: str = "threshold") -> DataFrame:
     """runs (view_id, method, M, L, seed, estimate, branch, diag, exact). All sketches depend on the set of tuples alone, so the facts are grouped once for a
-    view, which also gives the exact size, and the seeds are rows beside the tuples. The hashed tuples of all views are kept (persisted) for the
-    grid; every method and M then handles all views in one pass."""
+    view, which also gives the exact size, and the seeds are rows beside the tuples. The hashed tuples of all views are written to the scratch
+    folder for the grid; every method then handles all views in one pass, or one for each M where states don't follow from those of a larger M."""
     key = any(m in _KEYED for m in methods)
     rows = None
     for view in views:
         one = hashed(seeded(tuples(df, view), n_seeds), view, spec.with_seed("seed"), key=key, bound=True)
         rows = one if rows is None else rows.unionByName(one)
-    rows = rows.persist()
+    rows = settle(rows, "hashed")
     exact = rows.where("seed = 0").groupBy("view_id").agg(F.count("*").alias("exact"))
     out = None
     for method in methods:
-        for m in ms:
-            one = multi.finish(rows if method in _KEYED else rows.drop("key"), method, m, spec.L, plan)
-            out = one if out is None else out.unionByName(one)
+        one = multi.finish_many(rows if method in _KEYED else rows.drop("key"), method, ms, spec.L, plan)
+        out = one if out is None else out.unionByName(one)
     return out.join(F.broadcast(exact), "view_id").select(*out.columns, "exact")  # one row a view
 
 
+def run_generated(df: DataFrame, view: ViewSpec, exact: int, methods: list[str], ms: list[int], n_seeds: int, spec: HashSpec = HashSpec()) -> DataFrame:
+    """run() of one view whose tuples are distinct already and so many: nothing is grouped or written, every pass hashes them anew."""
+    out = None
+    for method in methods:
+        rows = hashed(seeded(view.bind(df), n_seeds), view, spec.with_seed("seed"), key=method in _KEYED, bound=True)
+        one = multi.finish_many(rows, method, ms, spec.L)
+        out = one if out is None else out.unionByName(one)
+    return out.withColumn("exact", F.lit(exact).cast("bigint"))
+
+
 def append_log(runs: DataFrame, path: str) -> None:
     runs.write.mode("append").parquet(path)
 
