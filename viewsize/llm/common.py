@@ -1,19 +1,14 @@
-"""Helpers shared by the corpus operators: folds, scratch tables, folding of texts."""
+"""Helpers shared by the corpus operators: folds, scratch tables, bounded samples."""
 
 from __future__ import annotations
 
-import re
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..session import ship
+from ..session import clean, scratch, settle, ship  # noqa: F401
 
 #: A word of a text: a run of anything but space, tab, line feed, vertical tab, form feed and carriage return.
 WORD = r"[^\x20\x09-\x0D]+"
-_MADE: dict[str, list[str]] = {}  # scratch folders by application
 
 
 def id_crc(col: str = "doc_id") -> Column:
@@ -30,38 +25,6 @@ def words(col: str | Column) -> Column:
     return F.coalesce(F.regexp_count(F.col(col) if isinstance(col, str) else col, F.lit(WORD)), F.lit(0)).cast("long")
 
 
-def scratch(spark: SparkSession) -> str:
-    """A new folder under the shared checkpoint folder. Where the session names none, one of this machine's is set up if all tasks run here; on a cluster that is an error."""
-    ship(spark)
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not base:
-        if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
-            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
-        base = "file://" + tempfile.mkdtemp(prefix="viewsize-")
-        spark.sparkContext.setCheckpointDir(base)
-    path = f"{base.rstrip('/')}/viewsize-{uuid.uuid4().hex}"
-    _MADE.setdefault(spark.sparkContext.applicationId, []).append(path)
-    return path
-
-
-def clean(spark: SparkSession) -> int:
-    """Delete the scratch tables that this application has written, once no result that reads them is needed any more; gives their number."""
-    made = _MADE.pop(spark.sparkContext.applicationId, [])
-    conf = spark._jsc.hadoopConfiguration()
-    for path in made:
-        at = spark._jvm.org.apache.hadoop.fs.Path(path)
-        at.getFileSystem(conf).delete(at, True)
-    return len(made)
-
-
-def settle(df: DataFrame, name: str = "table") -> DataFrame:
-    """Write a result to the shared folder and read it back: lineage ends there, and a lost executor costs nothing done before it."""
-    spark = df.sparkSession
-    path = f"{scratch(spark)}/{name}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     ship(spark)
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
