@@ -34,18 +34,21 @@ def main() -> None:
 
     spec = HashSpec()
     one, three, four = CATALOGUE["D4"], CATALOGUE["D9"], CATALOGUE["D7"]
-    many = lambda v, m, M: multi.estimate_many(facts(spark, sf_dir, *v), v, [m], M, spec, "partial" if m in ("gc", "lps") else "native")
+    many = lambda v, m, M: multi.estimate_many(facts(spark, sf_dir, *v), v, [m], M, spec)
     run("warm_up", lambda: many([one], "ac", 256))
     took.pop("warm_up")
     for m in ("pc", "ll", "ac", "gc", "lps"):
         run(f"census_20_views_{m}", lambda m=m: many(CENSUS, m, 2048 if m not in ("gc", "lps") else 256))
         run(f"synthetic_8_views_{m}", lambda m=m: many(SYNTHETIC, m, 256))
         for label, view in (("1dim", one), ("3dim", three)):
-            for M in (256, 2**20 if m in ("pc", "ll", "ac") else 2**14):
+            for M in (256, 2**20):
                 run(f"{label}_{m}_M{M}", lambda m=m, view=view, M=M: many([view], m, M))
-    for M in (16, 2**8, 2**12, 2**16):
-        run(f"time_vs_M_ac_{M}", lambda M=M: many([four], "ac", M))
+    for m in ("pc", "ll", "ac", "gc", "lps"):
+        for M in (16, 2**12, 2**16):
+            run(f"time_vs_M_{m}_{M}", lambda m=m, M=M: many([four], m, M))
     run("exact_census_grouping_sets", lambda: exact.view_sizes(facts(spark, sf_dir, *CENSUS), CENSUS))
+    key = ["l_orderkey", "l_linenumber"]
+    run("mf_all_views_half_percent", lambda: multifractal.mf_from_stats(multifractal.mf_many(facts(spark, sf_dir, *CENSUS, extra=tuple(key)), CENSUS, [0.005], 1, key)))
     run("mf_sample_half_percent", lambda: multifractal.mf_estimate(facts(spark, sf_dir, CATALOGUE["C08"]), CATALOGUE["C08"], 0.005))
     n = facts(spark, sf_dir, one).count()
     more["facts"] = n

@@ -5,6 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from viewsize import sqlapi
+from viewsize.functions import hashing
 from viewsize.functions.hashing import HashSpec
 from viewsize.operators import baselines, counting, exact, iceberg, levels, multi, multifractal, selection
 from viewsize.plans import metrics, protocol, theory
@@ -294,3 +295,61 @@ def test_stream_dedupe_baseline(spark, event_files):
     view = ViewSpec("u", ("user_id", "event_type"), "events")
     drain(stream.exact_distinct(stream.source(spark, path, df.schema), view, "ts", "60 days").writeStream.outputMode("append").format("memory").queryName("dd").start())
     assert spark.table("dd").count() == exact.view_size(df, view).collect()[0]["exact"]
+
+
+def test_stateful_level_sample_and_stream_static_lookup(spark, sf, tmp_path):
+    """A stream in four files, with repetitions: the level-pruned sample equals that of the batch; hashes from a stored table that lacks values equal computed ones."""
+    view, spec = ViewSpec("ue", ("user_id", "event_type", "value"), "events"), HashSpec(seed=3)
+    events = data.load(spark, sf, "events")
+    for i in range(4):
+        events.where(f"event_id % 4 = {i} or event_id % 7 = 0").coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    src = stream.source(spark, str(tmp_path / "in"), events.schema, 2)
+    want = levels.lps_estimate(levels.lps_state(hashed(events, view, spec, key=True), 40, 64)).collect()[0]
+    q = stream.level_sample(src, view, 40, spec).writeStream.format("memory").queryName("lps_updates").outputMode("update").option("checkpointLocation", str(tmp_path / "c1")).start()
+    q.processAllAvailable()
+    q.stop()
+    got = stream.finish_levels(spark.table("lps_updates"), 40).collect()[0]
+    assert (got["estimate"], got["level_floor"]) == (want["estimate"], want["level_floor"])
+    one = ViewSpec("u", ("user_id",), "events")
+    table = hashing.build_lookup(events.where("user_id % 3 <> 0").select(F.col("user_id")), "user_id", F.col("user_id"), spec)
+    q = stream.hashed_by_lookup(src, one, {"user_id": table}, spec).writeStream.format("memory").queryName("looked_up").option("checkpointLocation", str(tmp_path / "c2")).start()
+    q.processAllAvailable()
+    q.stop()
+    assert {r["y"] for r in spark.table("looked_up").collect()} == {r["y"] for r in hashed(events, one, spec).collect()}
+
+
+def test_array_tables_and_refresh(spark, sf):
+    df, spec = data.load(spark, sf, "lineitem").select(F.col("l_linenumber").cast("long").alias("l_linenumber")), HashSpec()
+    cols = {"l_linenumber": F.col("l_linenumber")}
+    same = hashing.with_array_lookup(df, cols, {"l_linenumber": 5}, spec).where(F.col("h_l_linenumber") != hashing.dim_hash("l_linenumber", F.col("l_linenumber"), spec))
+    assert same.count() == 0
+    old = hashing.build_lookup(df.where("l_linenumber < 4"), "l_linenumber", F.col("l_linenumber"), spec)
+    assert {r["value_key"] for r in hashing.missing_values(df, "l_linenumber", F.col("l_linenumber"), old, spec).collect()} == {4, 5, 6, 7}
+
+
+def test_table_function_of_estimates(spark, sf):
+    sqlapi.register(spark, sf)
+    r = spark.sql("SELECT * FROM viewsize_estimate(TABLE(SELECT l_partkey, l_suppkey FROM lineitem) WITH SINGLE PARTITION, 1024)").collect()[0]
+    truth = spark.sql("SELECT count(*) FROM (SELECT DISTINCT l_partkey, l_suppkey FROM lineitem)").collect()[0][0]
+    assert r["facts"] == 6000 and abs(r["estimate"] - truth) / truth < 0.15
+
+
+def test_scratch_tables_are_deleted(spark):
+    import os
+
+    from viewsize import session
+
+    path = session.scratch(spark).removeprefix("file://")
+    session.settle(spark.range(3)).count()
+    os.makedirs(path, exist_ok=True)
+    assert session.clean(spark) >= 2 and not os.path.exists(path) and session.clean(spark) == 0
+
+
+def test_exact_sampler_keeps_the_least_hashes(spark, sf):
+    df = data.load(spark, sf, "lineitem").select("l_orderkey", "l_linenumber")
+    for ratio in (0.0, 0.001, 0.05, 0.9, 1.0):
+        own = multifractal.sample_rows(df, ratio, 2, "exact", ["l_orderkey", "l_linenumber"])
+        assert own.count() == int(ratio * 6000)
+    few = {tuple(r) for r in multifractal.sample_rows(df, 0.02, 2, "exact", ["l_orderkey", "l_linenumber"]).collect()}
+    more = {tuple(r) for r in multifractal.sample_rows(df, 0.03, 2, "exact", ["l_orderkey", "l_linenumber"]).collect()}
+    assert few < more

@@ -464,6 +464,13 @@ add(
     "WITH o AS (SELECT user_id, ts, event_type, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) <= INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events), n AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS no FROM o) SELECT user_id, epoch_us(min(ts)) AS start_us, count(DISTINCT event_type) AS exact FROM n GROUP BY user_id, no",
 )
 
+_sy = oracle.tuple_sql(["event_type"], "'7'")
+add(
+    "events_session_linear",
+    lambda s, d: stream.session_linear(data.load(s, d, "events"), ViewSpec("t", ("event_type",), "events"), SPEC, "user_id", "ts", "30 minutes").select("user_id", F.unix_micros("start").alias("start_us"), "beta", F.round("estimate", 6).alias("estimate")),
+    f"WITH o AS (SELECT user_id, ts, event_type, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) <= INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events), n AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS no FROM o), b AS (SELECT user_id, no, min(ts) AS ts, 512 - count(DISTINCT {_sy} & 511) AS beta FROM n GROUP BY user_id, no) SELECT user_id, epoch_us(ts) AS start_us, beta, round(-512.0 * ln(beta / 512.0), 6) AS estimate FROM b",
+)
+
 # Views of the text tables.
 add(
     "docs_lang_source", lambda s, d: exact.view_size(data.load(s, d, "documents"), ViewSpec("docs", ("lang", "source"), "documents")),

@@ -4,15 +4,19 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import SparkSession
+from pyspark.sql import Row, SparkSession
 from pyspark.sql.functions import udtf
 
+from .operators import counting
+from .session import ship
+
 TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
 
 
 def register(spark: SparkSession, sf_dir: str | None = None) -> None:
     """vs_hash(seed, name, value), vs_bucket(y, m), vs_rank(y, m, l) and vs_level(y, l) as SQL functions, which the analyzer puts inline; vs_curve(name, m) as a
-    table function; the tables of sf_dir as views."""
+    table function; viewsize_estimate(TABLE(...), m) as a table function over a table; the tables of sf_dir as views."""
+    ship(spark)
     if sf_dir:
         for t in TABLES:
             spark.read.parquet(f"{sf_dir}/{t}.parquet").createOrReplaceTempView(t)
@@ -26,6 +30,7 @@ def register(spark: SparkSession, sf_dir: str | None = None) -> None:
     ):
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {text}")
     spark.udtf.register("vs_curve", TheoryCurve)
+    spark.udtf.register("viewsize_estimate", ViewSizeEstimate)
 
 
 @udtf(returnType="m bigint, value double")
@@ -40,6 +45,37 @@ class TheoryCurve:
             m *= 2
 
 
+@udtf(returnType="facts bigint, beta bigint, branch string, estimate double")
+class ViewSizeEstimate:
+    """viewsize_estimate(TABLE(SELECT ...) [PARTITION BY ...] , m): Adaptive Counting of the rows of a table argument, or of each of its partitions. Rows pass through
+    Python one by one; over large tables the DataFrame entry points, or ac_sql(), do the same by expressions."""
+
+    def __init__(self):
+        self.registers, self.facts, self.m = None, 0, 0
+
+    def eval(self, row: Row, m: int):
+        import xxhash
+
+        if self.registers is None:
+            if m < 2 or m & (m - 1):
+                raise ValueError("m must be a power of two from 2 on")
+            self.m, self.registers = m, [0] * m
+        y = xxhash.xxh64_intdigest(repr(tuple(row)).encode("utf-8", "surrogatepass"))
+        k = self.m.bit_length() - 1
+        rest = y >> k
+        rank = (rest & -rest).bit_length() if rest else 64 - k + 1
+        self.registers[y & (self.m - 1)] = max(self.registers[y & (self.m - 1)], rank)
+        self.facts += 1
+
+    def terminate(self):
+        if self.registers is not None:
+            beta, m = self.registers.count(0), self.m
+            if beta / m >= counting.SWITCH:
+                yield self.facts, beta, "linear", -m * math.log(beta / m)
+            else:
+                yield self.facts, beta, "loglog", counting.alpha(m) * m * 2.0 ** (sum(self.registers) / m)
+
+
 def ac_sql(table: str, dims: list[str], m: int = 2048, seed: int = 0) -> str:
     """Adaptive Counting of a view as one SQL statement over the registered functions."""
     k = int(math.log2(m))

@@ -9,10 +9,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from ..functions.hashing import HashSpec, canonical, dim_hash, order_key, xor_all
-from ..operators import counting
+from ..functions.hashing import HashSpec, canonical, dim_hash, order_key, prehashed, with_lookup, xor_all
+from ..operators import counting, levels
 from ..plans.views import ViewSpec, hashed
-from ..session import ship
+from ..session import settle, ship
 
 
 def source(spark: SparkSession, path: str, schema, files_per_trigger: int = 1) -> DataFrame:
@@ -63,6 +63,58 @@ def session_sizes(df: DataFrame, view: ViewSpec, spec: HashSpec, key: str, ts: s
     return grouped.select(key, F.col("w.start").alias("start"), F.col("w.end").alias("end"), F.size("ys").cast("long").alias("exact"))
 
 
+def session_linear(df: DataFrame, view: ViewSpec, spec: HashSpec, key: str, ts: str, gap: str, M: int = 512, late: str = "1 hour") -> DataFrame:
+    """(key, start, end, beta, estimate) of sessions by linear counting: the state of a session is a bitmap of M bits in M / 64 longs, however long it lasts."""
+    timed = df.withColumn(ts, F.col(ts).cast("timestamp"))
+    timed = timed.withWatermark(ts, late) if df.isStreaming else timed
+    rows = with_hash(timed, view, spec, [key, ts]).withColumn("bucket", F.col("y").bitwiseAND(F.lit(M - 1).cast("bigint")))
+    bit = F.call_function("shiftleft", F.lit(1).cast("bigint"), (F.col("bucket") % 64).cast("int"))
+    words = [F.coalesce(F.bit_or(F.when(F.floor(F.col("bucket") / 64) == i, bit)), F.lit(0).cast("bigint")).alias(f"b{i}") for i in range(M // 64)]
+    grouped = rows.groupBy(key, F.session_window(ts, gap).alias("w")).agg(*words)
+    beta = F.lit(M) - sum((F.bit_count(f"b{i}") for i in range(M // 64)), F.lit(0))
+    out = grouped.select(key, F.col("w.start").alias("start"), F.col("w.end").alias("end"), beta.cast("bigint").alias("beta"))
+    return out.withColumn("estimate", F.when(F.col("beta") > 0, -F.lit(float(M)) * F.ln(F.col("beta") / F.lit(float(M)))))
+
+
+def hashed_by_lookup(df: DataFrame, view: ViewSpec, tables: dict[str, DataFrame], spec: HashSpec) -> DataFrame:
+    """(view_id, seed, y) of a stream from stored tables: stream-static joins; values that a table lacks yet are hashed on the fly."""
+    bound = view.bind(df)
+    met = with_lookup(bound, {n: F.col(n) for n in view.names}, tables, spec)
+    return met.select(F.lit(view.name).alias("view_id"), spec.seed_column().cast("int").alias("seed"), prehashed(view.names, spec).alias("y"))
+
+
+def level_sample(df: DataFrame, view: ViewSpec, M: int, spec: HashSpec, shards: int = 8) -> DataFrame:
+    """(view_id, shard, keys, levels, floor) updates of a stateful level-pruned sample: each shard of the tuples keeps those of at least its floor, which rises while
+    there are more than M."""
+    ship(df.sparkSession)
+    rows = hashed(df, view, spec, key=True).select("view_id", counting.level(F.col("y"), spec.L).alias("level"), "key", F.pmod("key", F.lit(shards)).cast("int").alias("shard"))
+
+    def step(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        keys, tops, floor = state.get if state.exists else ([], [], 0)
+        held = dict(zip(keys, tops))
+        for pdf in batches:
+            pdf = pdf[pdf["level"] >= floor]
+            held.update(zip(pdf["key"].tolist(), pdf["level"].tolist()))
+            while len(held) > M:
+                floor += 1
+                held = {t: v for t, v in held.items() if v >= floor}
+        own = sorted(held)
+        tops = [held[t] for t in own]
+        state.update((own, tops, floor))
+        yield pd.DataFrame({"view_id": [key[0]], "shard": [key[1]], "keys": [own], "levels": [tops], "floor": [floor]})
+
+    return rows.groupBy("view_id", "shard").applyInPandasWithState(
+        step, "view_id string, shard int, keys array<long>, levels array<int>, floor int", "keys array<long>, levels array<int>, floor int", "update", GroupStateTimeout.NoTimeout
+    )
+
+
+def finish_levels(updates: DataFrame, M: int) -> DataFrame:
+    """The estimate from all updates: a shard's floor only rises, and its last update holds all tuples from its floor on."""
+    base = updates.select("view_id", F.lit(0).alias("seed"), F.explode_outer(F.arrays_zip("keys", "levels")).alias("x"), F.col("floor").alias("level_floor"))
+    rows = base.select("view_id", "seed", F.col("x.keys").alias("key"), F.col("x.levels").alias("level"), "level_floor")
+    return levels.lps_estimate(levels.lps_merge(settle(rows, "levels"), M=M))
+
+
 def exact_distinct(df: DataFrame, view: ViewSpec, ts: str, late: str = "1 hour") -> DataFrame:
     """The baseline: tuples without repetition inside the watermark."""
     timed = df.withColumn(ts, F.col(ts).cast("timestamp")).withWatermark(ts, late)
