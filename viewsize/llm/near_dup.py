@@ -191,7 +191,7 @@ def _differences(lists: DataFrame, sets: DataFrame, num: int, den: int) -> DataF
 
     A list whose largest component ``top`` has several members is of group ``top``; the kernel is the set of shingles that most of some 64 members of that
     component have. Any set would do as a kernel, so drawing those members costs no link. All other lists are of group -1, whose kernel is empty.
-    A member that differs from its kernel in more than half its shingles goes to group -1, and so does one from which such a member is in reach."""
+    A member that differs from its kernel in more shingles than it has goes to group -1, and so does one from which such a member is in reach."""
     who = lists.select(F.when(F.col("most") > 1, F.col("top")).otherwise(F.lit(-1)).alias("grp"), "cls", "comp", "n").distinct()
     who = settle(who, "who")
     near = who.where("grp >= 0")
@@ -204,11 +204,11 @@ def _differences(lists: DataFrame, sets: DataFrame, num: int, den: int) -> DataF
     chunk = F.pmod(F.xxhash64("cls", F.lit(1)), F.col("chunks").cast("long")).cast("int").alias("chunk")  # a group of any size is met in even parts
     met = near.join(held.select("grp", "chunks"), "grp").select("grp", chunk, "cls", "comp", "n").join(sets, "cls").join(kernels, ["grp", "chunk"])
     apart = settle(met.select("grp", "cls", "comp", "n", F.concat(F.array_except("kernel", "shingles"), F.array_except("shingles", "kernel")).alias("d")), "apart")
-    # Linked a and b with 2 |d(a)| > n(a): |d(b)| >= |d(a)| - |a xor b|, n(a) >= t n(b) and |a xor b| <= (1/t - 1) n(b).
-    reach = F.size("d") * F.lit(2 * num * den) > F.col("n") * F.lit(num * num - 2 * den * (den - num))
+    # Linked a and b with |d(a)| > n(a): |d(b)| >= |d(a)| - |a xor b|, n(a) >= t n(b) and |a xor b| <= (1/t - 1) n(b).
+    reach = F.size("d") * F.lit(num * den) > F.col("n") * F.lit(num * num - den * (den - num))
     far = who.where("grp < 0").select("cls", "comp", "n").union(apart.where(reach).select("cls", "comp", "n")).distinct()
     plain = far.join(sets, "cls").select(F.lit(-1).cast("long").alias("grp"), "cls", "comp", "n", F.col("shingles").alias("d"))
-    return settle(apart.where(F.size("d") * 2 <= F.col("n")).union(plain), "differences")
+    return settle(apart.where(F.size("d") <= F.col("n")).union(plain), "differences")
 
 
 def _distant_pairs(lists: DataFrame, sets: DataFrame, num: int, den: int, tasks: int) -> DataFrame:
