@@ -25,7 +25,7 @@ SURFACE = (
 )
 FEATURES = SURFACE + tuple(f"gram_{i}" for i in range(GRAMS))
 #: Penalties of the surface statistics' and of the trigrams' weights.
-L2 = np.repeat([1e-3, 5e-2], [len(SURFACE), GRAMS])
+L2 = np.repeat([1e-3, 3.0], [len(SURFACE), GRAMS])
 
 
 def grams(raw: bytes) -> np.ndarray:
