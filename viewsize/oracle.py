@@ -135,3 +135,22 @@ def exact(view: ViewSpec) -> str:
     return f"WITH {base} SELECT '{view.name}' AS view_id, count(*) AS exact FROM (SELECT DISTINCT {', '.join(view.names)} FROM {table})"
 
 
+def _hit(q: str, n: str) -> str:
+    """Chance that n draws hit a cell of probability q, without the loss that 1 - (1 - q)^n has for small q."""
+    return (
+        f"CASE WHEN {q} >= 1 THEN 1.0 WHEN {n} * {q} < 1e-4 THEN {n} * {q} * (1 - ({n} - 1) * {q} / 2 + ({n} - 1) * ({n} - 2) * {q} * {q} / 6) "
+        f"ELSE 1 - exp({n} * CASE WHEN {q} < 1e-4 THEN -{q} * (1 + {q} / 2 + {q} * {q} / 3 + {q} * {q} * {q} / 4) ELSE ln(1 - {q}) END) END"
+    )
+
+
+def multifractal(stats: str) -> str:
+    """The estimate from SQL for one row (view_id, ratio, seed, n_total, n_sample, f0, m_max): the least number of levels, from log2(f0) to 512, whose
+    expected number of hit cells reaches f0, or 512; then the same sum for all facts."""
+    cells = "exp(lgamma(k + 1) - lgamma(a + 1) - lgamma(k - a + 1))"
+    q = "(pow(p, k - a) * pow(1 - p, a))"
+    total = lambda n, rows: f"SELECT k, p, sum({cells} * ({_hit(q, n)})) AS f FROM (SELECT *, unnest(range(k + 1)) AS a FROM ({rows})) GROUP BY k, p"
+    levels = "SELECT n_total, n_sample, k, pow(m_max / n_sample, 1.0 / k) AS p FROM (SELECT *, unnest(range(CAST(greatest(1, ceil(log2(f0))) AS BIGINT), 513)) AS k FROM st)"
+    return (
+        f"WITH st AS (SELECT * FROM ({stats})), fits AS ({total('n_sample', levels)}), best AS (SELECT fits.*, f >= f0 AS reached FROM fits, st ORDER BY f < f0, CASE WHEN f >= f0 THEN k ELSE -k END LIMIT 1), "
+        f"last AS ({total('n_total', 'SELECT best.k, best.p, n_total FROM best, st')}) SELECT st.*, CAST(last.k AS INTEGER) AS k, round(last.p, 6) AS bias, reached AS converged, round(last.f, 2) AS estimate FROM st, last, best"
+    )

@@ -210,11 +210,9 @@ for _n, _p in (("C01", 0.005), ("C08", 0.007), ("D3", 0.003), ("D3", 0.05), ("D7
     def _stats(s: SparkSession, d: str, v=_view, p=_p) -> DataFrame:
         return multifractal.mf_sample_stats(facts(s, d, v, extra=tuple(_KEY)), v, p, 3, "hash", _KEY)
 
-    add(
-        f"mf_stats_{_tag}", _stats,
-        f"WITH {oracle.STAR}, g AS (SELECT {_dims}, count(*) AS c FROM star WHERE {_row} < {_p!r} * 4294967296.0 GROUP BY ALL) SELECT '{_n}' AS view_id, CAST({_p!r} AS DOUBLE) AS ratio, 3 AS seed, (SELECT count(*) FROM star) AS n_total, CAST(coalesce(sum(c), 0) AS BIGINT) AS n_sample, count(*) AS f0, max(c) AS m_max FROM g",
-    )
-    add(f"mf_estimate_{_tag}", lambda s, d, q=_stats: multifractal.mf_from_stats(q(s, d)))
+    _stats_sql = f"WITH {oracle.STAR}, g AS (SELECT {_dims}, count(*) AS c FROM star WHERE {_row} < {_p!r} * 4294967296.0 GROUP BY ALL) SELECT '{_n}' AS view_id, CAST({_p!r} AS DOUBLE) AS ratio, 3 AS seed, (SELECT count(*) FROM star) AS n_total, CAST(coalesce(sum(c), 0) AS BIGINT) AS n_sample, count(*) AS f0, max(c) AS m_max FROM g"
+    add(f"mf_stats_{_tag}", _stats, _stats_sql)
+    add(f"mf_estimate_{_tag}", lambda s, d, q=_stats: multifractal.mf_from_stats(q(s, d)).withColumns({"bias": F.round("bias", 6), "estimate": F.round("estimate", 2)}), oracle.multifractal(_stats_sql))
     for _variant in ({"fit": "nearest"}, {"bias": "printed"}, {"summand": "printed"}):
         if _tag == "D3_p05":
             add(f"mf_{'_'.join(map('_'.join, _variant.items()))}_{_tag}", lambda s, d, q=_stats, v=_variant: multifractal.mf_from_stats(q(s, d), **v))
@@ -231,8 +229,9 @@ for _n in ("C01", "C08", "C12", "D6"):
     )
 _SKEW = ViewSpec("skewed", (("sp", "CAST(floor(2000 * pow(l_partkey / 2000.0D, 3.0D)) AS BIGINT)"), ("sk", "CAST(floor(100 * pow(l_suppkey / 100.0D, 3.0D)) AS BIGINT)")))
 add(
-    "uniform_skewed", lambda s, d: baselines.occupancy_estimate(data.load(s, d, "lineitem"), _SKEW).crossJoin(exact.view_size(data.load(s, d, "lineitem"), _SKEW).select("exact")).select("view_id", "facts", "exact", (F.col("estimate") > F.col("exact")).alias("over"))
-)
+    "uniform_skewed", lambda s, d: baselines.occupancy_estimate(data.load(s, d, "lineitem"), _SKEW).crossJoin(exact.view_size(data.load(s, d, "lineitem"), _SKEW).select("exact")).select("view_id", "facts", "exact", (F.col("estimate") > F.col("exact")).alias("over")),
+    "WITH t AS (SELECT CAST(floor(2000 * pow(l_partkey / 2000.0, 3.0)) AS BIGINT) AS sp, CAST(floor(100 * pow(l_suppkey / 100.0, 3.0)) AS BIGINT) AS sk FROM lineitem), a AS (SELECT CAST(count(DISTINCT sp) AS DOUBLE) * count(DISTINCT sk) AS v, count(*) AS facts, count(DISTINCT (sp, sk)) AS exact FROM t) SELECT 'skewed' AS view_id, facts, exact, v * (1 - exp(facts * ln(1 - 1 / v))) > exact AS over FROM a",
+)
 for _sk in ("hllpp", "hll", "theta"):
     add(f"builtin_{_sk}", lambda s, d, k=_sk: baselines.builtin_estimate(facts(s, d, CATALOGUE["D7"]), CATALOGUE["D7"], k))
 
