@@ -149,3 +149,33 @@ def test_long_lists_whose_largest_component_has_no_anchor(spark):
     member = [(1, i, len(s), True, min(i, 1) if i < 20 else 20) for i, s in sets]
     got = near_dup._rest_pairs(spark.createDataFrame(member, "e long, cls long, n long, long boolean, comp long"), spark.createDataFrame(sets, "cls long, shingles array<long>"), 85, 100, 1)
     assert {(min(r), max(r)) for r in map(tuple, got.collect())} == {(3, 20)}
+
+
+def test_few_edges_are_joined_in_one_step(spark, monkeypatch):
+    from viewsize.llm import components
+
+    steps = []
+    monkeypatch.setattr(components, "settle", lambda df, name: steps.append(name) or df.localCheckpoint())
+    edges = spark.createDataFrame([(i, i + 1) for i in range(40)] + [(100, 90), (None, 3), (7, 7)], "u long, v long")
+    short = {r["node"]: r["root"] for r in connected_components(edges).collect()}
+    assert len(steps) == 1  # rounds plan and write a table each
+    monkeypatch.setattr(components, "EDGES_A_TASK", 1)
+    assert short == {r["node"]: r["root"] for r in connected_components(edges.limit(8)).collect()} | short
+    assert short == {i: 0 for i in range(41)} | {90: 90, 100: 90}
+
+
+def test_only_a_part_of_whole_sets_is_counted(spark, monkeypatch):
+    from pyspark.sql import functions as F
+
+    from viewsize.llm import near_dup
+
+    counted = []
+    explode = F.explode
+    monkeypatch.setattr(near_dup.F, "explode", lambda c: counted.append(str(c)) or explode(c))
+    monkeypatch.setattr(near_dup, "settle", lambda df, name: df)
+    # Whole sets of 100: two that share 95 elements, one that shares 40 with either.
+    sets = {1: range(0, 100), 2: range(5, 105), 3: [*range(20, 60), *range(500, 560)]}
+    own = spark.createDataFrame([(-1, c, c, 100, [h * 7_919_317 for h in d]) for c, d in sets.items()], "grp long, cls long, comp long, n long, d array<long>")
+    pairs = near_dup._met(own, 85, 100, 1, False).collect()
+    assert {tuple(sorted(r)) for r in pairs} == {(1, 2)}
+    assert not any("'d'" in c or "<d>" in c or "explode(d)" in c for c in counted) and any("early" in c for c in counted)
