@@ -22,3 +22,24 @@ def test_workloads_run_on_every_view(monkeypatch, name, views):
 def test_many_views_are_all_views(spark, sf):
     got = queries.queries()["multi_pc"](spark, sf).collect()
     assert {r["view_id"] for r in got} == {v.name for v in CENSUS}
+
+
+@pytest.mark.parametrize("L", [32, 64])
+def test_protocol_writes_tuples_once_and_agrees_with_each_state(spark, sf, monkeypatch, L):
+    from viewsize.functions.hashing import HashSpec
+    from viewsize.plans import protocol
+    from viewsize.plans.views import CATALOGUE, facts
+
+    written = []
+    settle = protocol.settle
+    monkeypatch.setattr(protocol, "settle", lambda df, name: written.append((name, "seed" in df.columns)) or settle(df, name))
+    views = [CATALOGUE["D1"], CATALOGUE["D5"]]
+    methods, ms, spec = ["pc", "ll", "ac", "gc", "lps"], [4, 16, 1024], HashSpec(L=L)
+    df = facts(spark, sf, *views)
+    whole = protocol.run(df, views, methods, ms, 3, spec)
+    got = sorted(map(repr, whole.collect()))
+    assert written == [("tuples", False), ("state", True)] * 2  # no row for each tuple and seed
+    monkeypatch.setattr(protocol, "ENTRIES", 1024)
+    monkeypatch.setattr(protocol, "_bound", lambda M, n, L, margin, real=protocol._bound: real(M, n, L, -30.0 if margin == 6 else margin))  # short at first
+    assert got == sorted(map(repr, protocol.run(df, views, methods, ms, 3, spec).collect()))
+    assert got == sorted(map(repr, protocol.run(df, views, methods, ms, 3, spec, "native").collect()))
