@@ -43,3 +43,20 @@ def test_protocol_writes_tuples_once_and_agrees_with_each_state(spark, sf, monke
     monkeypatch.setattr(protocol, "_bound", lambda M, n, L, margin, real=protocol._bound: real(M, n, L, -30.0 if margin == 6 else margin))  # short at first
     assert got == sorted(map(repr, protocol.run(df, views, methods, ms, 3, spec).collect()))
     assert got == sorted(map(repr, protocol.run(df, views, methods, ms, 3, spec, "native").collect()))
+
+
+def test_level_sample_needs_only_a_part_for_its_bounds(spark, monkeypatch):
+    from viewsize.functions.hashing import HashSpec
+    from viewsize.operators import levels, multi
+    from viewsize.plans.views import ViewSpec, hashed_many
+
+    df = spark.range(3000).selectExpr("id", "id % 5 AS few").unionByName(spark.range(3000).selectExpr("id", "id % 5 AS few"))
+    views, spec = [ViewSpec("a", ("id", "few"), "facts"), ViewSpec("b", ("few",), "facts")], HashSpec()
+    bounds = []
+    real = levels.lower_floors
+    monkeypatch.setattr(levels, "lower_floors", lambda rows, M, L: bounds.append(rows.count()) or real(rows, M, L))
+    est = lambda plan: sorted(map(repr, multi.estimate_many(df, views, ["lps"], 16, spec, plan).collect()))
+    assert est("threshold") == est("native") and len(bounds) == 1 and 0 < bounds[0] < 12_000 / 4
+    rows = hashed_many(df, views, spec, key=True)
+    none = levels.lps_estimate(levels.lps_state(rows, 16, 64, some=rows.where("view_id = 'a' AND y % 7 = 0"))).collect()  # a part that lacks a view
+    assert sorted(map(repr, none)) == sorted(map(repr, levels.lps_estimate(levels.lps_state(rows, 16, 64, "native")).collect()))
