@@ -179,3 +179,64 @@ def test_only_a_part_of_whole_sets_is_counted(spark, monkeypatch):
     pairs = near_dup._met(own, 85, 100, 1, False).collect()
     assert {tuple(sorted(r)) for r in pairs} == {(1, 2)}
     assert not any("'d'" in c or "<d>" in c or "explode(d)" in c for c in counted) and any("early" in c for c in counted)
+
+
+LISTS = "e long, cls long, comp long, n long, top long, most long"
+
+
+def test_members_that_a_kernel_does_not_fit_are_described_once(spark):
+    """Strays that hold half of a kernel differ from it in nine tenths of their size: their whole sets are needed anyway, their differences only repeat them."""
+    kernel = list(range(40))
+    sets = {i: kernel for i in range(10)} | {100 + i: kernel[:22] + list(range(1000 * i + 100, 1000 * i + 118)) for i in range(20)}
+    sets[200] = sets[105][:-1] + [-5]
+    lists = [(1, c, c if c >= 100 else 0, 40, 0, 10) for c in sets]
+    made = near_dup._differences(spark.createDataFrame(lists, LISTS), spark.createDataFrame([*sets.items()], "cls long, shingles array<long>"), 85, 100)
+    rows = [(r["grp"], r["cls"], len(r["d"])) for r in made.collect()]
+    assert sorted(r[:2] for r in rows) == sorted([(0, c) for c in range(10)] + [(-1, c) for c in sets if c >= 100])
+    assert sum(r[2] for r in rows) == 21 * 40  # the members of the component are the kernel; nine tenths more before
+    pairs = near_dup._distant_pairs(spark.createDataFrame(lists, LISTS), spark.createDataFrame([*sets.items()], "cls long, shingles array<long>"), 85, 100, 1)
+    assert (105, 200) in {tuple(sorted(r)) for r in map(tuple, pairs.collect())}
+
+
+@pytest.mark.parametrize("cuts", [(10,), (8,), (4,), (1,), (10, 8, 6, 4)])
+def test_any_cut_of_a_group_leaves_all_links(spark, monkeypatch, cuts):
+    """Pairs of strays at the threshold, at all distances from the kernel: what the candidates link is what all pairs link."""
+    monkeypatch.setattr(near_dup, "CUTS", cuts)
+    rng = random.Random(11)
+    value = lambda: rng.randrange(-(2**62), 2**62)
+    kernel = [value() for _ in range(120)]
+    sets = {i: kernel for i in range(6)}
+    for i in range(70):
+        cut = rng.randrange(0, 100)
+        a = kernel[cut:] + [value() for _ in range(rng.choice([cut, cut // 2, cut + 20]))]
+        rng.shuffle(a)
+        gone = rng.randrange(0, len(a) // 12 + 1)
+        allowed = (15 * len(a) - 100 * gone) // 85  # at most so many more, for 85 of 100
+        b = a[gone:] + [value() for _ in range(rng.choice([max(0, allowed), max(0, allowed) + 1, max(0, allowed // 2)]))]
+        sets |= {100 + 2 * i: a, 101 + 2 * i: b}
+    comp = {c: c if c >= 100 else 0 for c in sets}
+    lists = spark.createDataFrame([(1, c, comp[c], len(sets[c]), 0, 6) for c in sets], LISTS)
+    pairs = near_dup._distant_pairs(lists, spark.createDataFrame([*sets.items()], "cls long, shingles array<long>"), 85, 100, 1).collect()
+    own = {c: frozenset(s) for c, s in sets.items()}
+    linked = lambda a, b: 100 * len(own[a] & own[b]) >= 85 * len(own[a] | own[b])
+
+    def parts(edges):
+        up = dict(comp)
+        for a, b in edges:
+            x, y = up[a], up[b]
+            up = {c: min(x, y) if r in (x, y) else r for c, r in up.items()} if x != y else up
+        return up
+
+    everything = parts(p for p in itertools.combinations(sets, 2) if linked(*p))
+    assert len(set(everything.values())) < len(sets) - 40
+    assert parts(p for p in map(tuple, pairs) if linked(*p)) == everything
+
+
+def test_whole_sets_post_no_more_than_a_link_may_leave_out(spark, monkeypatch):
+    """Of 100 elements, 15 at most are not in a linked set, so 16 are posted."""
+    posted = []
+    monkeypatch.setattr(near_dup, "settle", lambda df, name: posted.append(df) or df)
+    sets = {1: range(100), 2: range(100)}
+    own = spark.createDataFrame([(-1, c, c, 100, [h * 7_919_317 for h in d]) for c, d in sets.items()], "grp long, cls long, comp long, n long, d array<long>")
+    assert {tuple(sorted(r)) for r in near_dup._met(own, 85, 100, 1, False).collect()} == {(1, 2)}
+    assert posted[0].count() == 2 * 16
