@@ -1,4 +1,5 @@
 import pytest
+from pyspark.sql import functions as F
 
 from viewsize import queries
 from viewsize.plans.views import CENSUS, SYNTHETIC
@@ -19,6 +20,15 @@ def test_workloads_run_on_every_view(monkeypatch, name, views):
     assert seen.value.args == ([v.name for v in views], ["pc", "ll", "ac", "gc", "lps"])
 
 
+def test_t2_runs_all_seeds(spark, sf, monkeypatch):
+    runs = []
+    real = queries.protocol.run
+    monkeypatch.setattr(queries.protocol, "run", lambda *a: runs.append(real(*a)) or runs[-1])
+    queries.queries()["t2_pivot"](spark, sf)
+    per = runs[0].groupBy("view_id", "method", "M").agg(F.count_distinct("seed").alias("seeds")).collect()
+    assert len(per) == 4 * 2 * 3 and {r["seeds"] for r in per} == {20}
+
+
 def test_many_views_are_all_views(spark, sf):
     got = queries.queries()["multi_pc"](spark, sf).collect()
     assert {r["view_id"] for r in got} == {v.name for v in CENSUS}
