@@ -240,3 +240,27 @@ def test_whole_sets_post_no_more_than_a_link_may_leave_out(spark, monkeypatch):
     own = spark.createDataFrame([(-1, c, c, 100, [h * 7_919_317 for h in d]) for c, d in sets.items()], "grp long, cls long, comp long, n long, d array<long>")
     assert {tuple(sorted(r)) for r in near_dup._met(own, 85, 100, 1, False).collect()} == {(1, 2)}
     assert posted[0].count() == 2 * 16
+
+
+def test_exploded_tables_are_not_broadcast(spark, tmp_path):
+    """400,000 postings or elements come from files far below the limit of a broadcast, 10 MB."""
+    from pyspark.sql import functions as F
+
+    from viewsize.llm import near_dup
+
+    def plan(df):
+        return df._jdf.queryExecution().executedPlan().toString()
+
+    (spark.range(2000).select(F.col("id").alias("cls"), F.lit(9).cast("long").alias("n"), F.transform(F.sequence(F.lit(1), F.lit(200)), lambda i: i).alias("sig"))).write.parquet(str(tmp_path / "classes"))
+    seen = []
+    with pytest.MonkeyPatch.context() as m:
+        m.setattr(near_dup, "settle", lambda df, name: seen.append(plan(df)) or df)
+        classes = spark.read.parquet(str(tmp_path / "classes"))
+        seen.append(plan(near_dup._postings(classes, 8)))
+        pairs = spark.createDataFrame([(1, 2)], "a long, b long")
+        near_dup._confirmed(pairs, classes, classes.select("cls", F.col("sig").cast("array<long>").alias("shingles")), 8, 85, 100, 1)
+        own = classes.select(F.lit(-1).cast("long").alias("grp"), "cls", F.col("cls").alias("comp"), "n", F.col("sig").cast("array<long>").alias("d"))
+        own.write.parquet(str(tmp_path / "own"))
+        near_dup._met(spark.read.parquet(str(tmp_path / "own")), 85, 100, 1, False)
+    assert len(seen) == 4 and not any("explode" in part.split("\n\n")[0] for p in seen for part in p.split("BroadcastExchange")[1:])
+    assert not any("BroadcastHashJoin" in p for p in seen)

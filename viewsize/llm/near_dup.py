@@ -146,15 +146,18 @@ def sign(docs: DataFrame, k: int = 5, coords: int = 24) -> DataFrame:
 
 
 def _postings(classes: DataFrame, match: int) -> DataFrame:
-    """(e, cls, n, long) of the rarest pairs of each class that matter and that two classes post at least; e is a (coordinate, value) pair as one long."""
+    """(e, cls, n, long) of the rarest pairs of each class that matter and that two classes post at least; e is a (coordinate, value) pair as one long.
+
+    Spark sizes an exploded table, and arrays that it reads, as if each array had one element, so it would broadcast millions of postings or signatures through
+    the driver; joins of such tables, here and below, are merged."""
     pair = F.shiftleft(F.col("at").cast("long"), 32).bitwiseOR(F.col("value").cast("long").bitwiseAND(F.lit(0xFFFFFFFF)))
     posted = classes.select("cls", "n", F.posexplode("sig").alias("at", "value")).select("cls", "n", pair.alias("e"))
     often = posted.groupBy("e").agg(F.count("*").alias("freq")).where("freq > 1")
-    own = posted.join(often, "e").groupBy("cls", "n").agg(F.array_sort(F.collect_list(F.struct("freq", "e"))).alias("own"))  # at most coords a class
+    own = posted.hint("merge").join(often, "e").groupBy("cls", "n").agg(F.array_sort(F.collect_list(F.struct("freq", "e"))).alias("own"))  # at most coords a class
     prefix = own.where(F.size("own") >= match).select("cls", "n", F.explode(F.slice("own", F.lit(1), F.size("own") - match + 1)).alias("x"))
     prefix = settle(prefix.select(F.col("x.e").alias("e"), "cls", "n"), "prefix")
     lengths = prefix.groupBy("e").agg(F.count("*").alias("members")).where("members > 1")
-    return prefix.join(lengths, "e").select("e", "cls", "n", (F.col("members") > LONG).alias("long"))
+    return prefix.hint("merge").join(lengths, "e").select("e", "cls", "n", (F.col("members") > LONG).alias("long"))
 
 
 def _sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
@@ -171,7 +174,7 @@ def _confirmed(pairs: DataFrame, classes: DataFrame, sets: DataFrame, match: int
     """(u, v) of those pairs (a, b) whose sizes allow the threshold, whose signatures collide often enough and whose full sets reach it."""
     pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct().coalesce(tasks)
     sig = classes.select("cls", "n", "sig")
-    met = pairs.join(sig.toDF("a", "na", "sa"), "a").join(sig.toDF("b", "nb", "sb"), "b").where(F.lit(den) * F.least("na", "nb") >= F.lit(num) * F.greatest("na", "nb"))
+    met = pairs.join(sig.toDF("a", "na", "sa").hint("merge"), "a").join(sig.toDF("b", "nb", "sb").hint("merge"), "b").where(F.lit(den) * F.least("na", "nb") >= F.lit(num) * F.greatest("na", "nb"))
     same = F.aggregate(F.zip_with("sa", "sb", lambda x, y: (x == y).cast("int")), F.lit(0), lambda s, x: s + x)
     likely = settle(met.where(same >= match).select("a", "b").coalesce(tasks), "likely")
     both = likely.join(sets.toDF("a", "sa"), "a").join(sets.toDF("b", "sb"), "b")
@@ -249,10 +252,10 @@ def _met(own: DataFrame, num: int, den: int, tasks: int, described: bool) -> Dat
     own = own.withColumn("early", F.filter("d", counted))
     told = own.select("grp", "cls", "comp", F.explode("early").alias("h"))
     often = told.groupBy("grp", "h").agg(F.count("*").alias("freq"), F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("grp", "h", "freq")
-    shared = told.join(often, ["grp", "h"]).groupBy("grp", "cls").agg(F.array_sort(F.collect_list(F.struct("freq", "h"))).alias("own"))
+    shared = told.hint("merge").join(often, ["grp", "h"]).groupBy("grp", "cls").agg(F.array_sort(F.collect_list(F.struct("freq", "h"))).alias("own"))
     first = (F.floor(F.lit(den - num) * F.col("n") / F.lit(num if described else den)) + 1).cast("int")
     mine = F.coalesce(F.transform("own", lambda o: o["h"]), F.array().cast("array<bigint>"))
-    cols = own.join(shared, ["grp", "cls"], "left").select("grp", "cls", "comp", "n", "d", "early", mine.alias("mine"), first.alias("first"))
+    cols = own.hint("merge").join(shared, ["grp", "cls"], "left").select("grp", "cls", "comp", "n", "d", "early", mine.alias("mine"), first.alias("first"))
     lone, late = F.size("early") - F.size("mine"), F.greatest(F.lit(0), F.col("first") - F.size("early"))
     rest = F.when(late > 0, F.slice(F.array_sort(F.filter("d", lambda h: ~counted(h))), F.lit(1), late)).otherwise(F.array().cast("array<bigint>"))
     taken = F.concat(F.slice("mine", F.lit(1), F.greatest(F.lit(0), F.col("first") - lone)), rest)
@@ -263,14 +266,14 @@ def _met(own: DataFrame, num: int, den: int, tasks: int, described: bool) -> Dat
     most = F.lit(den - num) * (F.col("n_a") + F.col("n_b"))
     within = F.lit(den + num) * (F.col("m_a") + F.col("m_b") - 2 * F.size(F.array_intersect("d_a", "d_b"))) <= most
     fits = (F.lit(den + num) * (F.col("x_a") + F.col("x_b")) <= most) & within
-    return stray.join(full, ["grp", "h"]).where(_apart(num, den) & fits).select(F.col("cls_a").alias("a"), F.col("cls_b").alias("b"))
+    return stray.hint("merge").join(full, ["grp", "h"]).where(_apart(num, den) & fits).select(F.col("cls_a").alias("a"), F.col("cls_b").alias("b"))
 
 
 def _strays(rows: DataFrame, key: list[str], cols: list[str]) -> tuple[DataFrame, DataFrame]:
     """(members outside the largest component of their key, all members with that component) of keys with several components, columns marked _a and _b."""
     parts = rows.groupBy(*key, "comp").agg(F.count("*").alias("c")).groupBy(*key).agg(F.count("*").alias("parts"), F.max_by("comp", F.struct("c", "comp")).alias("key_top"))
     lead = parts.where("parts > 1").select(*key, "key_top")
-    known = rows.join(lead, key)
+    known = rows.hint("merge").join(lead, key)
     return known.where("comp <> key_top").select(*key, *(F.col(c).alias(f"{c}_a") for c in cols)), known.select(*key, "key_top", *(F.col(c).alias(f"{c}_b") for c in cols))
 
 
