@@ -264,3 +264,30 @@ def test_exploded_tables_are_not_broadcast(spark, tmp_path):
         near_dup._met(spark.read.parquet(str(tmp_path / "own")), 85, 100, 1, False)
     assert len(seen) == 4 and not any("explode" in part.split("\n\n")[0] for p in seen for part in p.split("BroadcastExchange")[1:])
     assert not any("BroadcastHashJoin" in p for p in seen)
+
+
+def test_bitmaps_leave_every_link_and_little_else(spark, monkeypatch):
+    """What is posted beside an element is a bitmap, far shorter than the difference; its bound never exceeds the true difference, for widths of any two sizes that may be linked."""
+    from pyspark.sql import functions as F
+
+    from viewsize.llm import near_dup
+
+    rng = random.Random(5)
+    value = lambda: rng.randrange(-(2**63), 2**63)
+    rows = []
+    for i in range(60):
+        a = [value() for _ in range(rng.choice([1, 2, 31, 32, 33, 60, 64, 65, 500]))]
+        b = a[rng.randrange(0, len(a) // 8 + 1) :] + [value() for _ in range(rng.randrange(0, len(a) // 9 + 1))]
+        b = b if i % 3 else [value() for _ in b]
+        rows.append((a, b, *(near_dup.bitmap(np.array(x, np.int64), near_dup.bitmap_words(len(x))).tolist() for x in (a, b))))
+    df = spark.createDataFrame(rows, "a array<long>, b array<long>, c array<long>, d array<long>")
+    got = df.select("a", "b", near_dup._least_difference(F.col("c"), F.col("d"), 80, 100).alias("least")).collect()
+    true = lambda r: len(set(r["a"]) ^ set(r["b"]))
+    assert all(r["least"] <= true(r) for r in got) and sum(r["least"] for r in got) > 0.5 * sum(map(true, got))
+    posted = []
+    monkeypatch.setattr(near_dup, "settle", lambda df, name: posted.append(df) or df)
+    sets = {1: [value() for _ in range(400)], 3: [value() for _ in range(400)]} | {}
+    sets[2], sets[4] = sets[1][20:] + [value() for _ in range(20)], sets[3][200:] + sets[1][:200]
+    own = spark.createDataFrame([(0, c, c, 400, d) for c, d in sets.items()], "grp long, cls long, comp long, n long, d array<long>")
+    assert {tuple(sorted(r)) for r in near_dup._met(own, 85, 100, 1, True).collect()} == {(1, 2)}
+    assert posted[0].agg(F.max(F.size("d"))).first()[0] == 16  # 400 before

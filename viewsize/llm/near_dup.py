@@ -87,11 +87,12 @@ def _multipliers(coords: int) -> tuple[np.ndarray, np.ndarray]:
 def signature(hashes: np.ndarray, coords: int, _kept: dict = {}) -> np.ndarray:
     """Minima of ``coords`` multiply-shift permutations, as int32."""
     mult, flip = _kept.setdefault(coords, _multipliers(coords))
-    low = np.full(coords, 0xFFFFFFFF, np.uint64)
-    for at in range(0, len(hashes), 4096):
-        x = (hashes[at : at + 4096, None] ^ flip) * mult
-        low = np.minimum(low, (x >> np.uint64(32)).min(axis=0))
-    return low.astype(np.uint32).view(np.int32)
+    low = np.full(coords, 0xFFFFFFFFFFFFFFFF, np.uint64)
+    for at in range(0, len(hashes), 512):  # a block that stays in the cache
+        x = hashes[at : at + 512] ^ flip[:, None]
+        x *= mult[:, None]
+        low = np.minimum(low, x.min(axis=1))
+    return (low >> np.uint64(32)).astype(np.uint32).view(np.int32)
 
 
 def match_threshold(coords: int, num: int, den: int, miss: float = 1e-8) -> int:
@@ -137,6 +138,44 @@ def _setter(k: int):
     return run
 
 
+def bitmap(elements: np.ndarray, words: int) -> np.ndarray:
+    """A bit for each element, by a hash of it, in ``words`` (a power of two) whole numbers of 64 bits. The bitmap of half as many words is the halves of this one or-ed."""
+    h = elements.view(np.uint64) * np.uint64(_MIX)
+    h ^= h >> np.uint64(32)
+    at = h & np.uint64(64 * words - 1)
+    out = np.zeros(words, np.uint64)
+    np.bitwise_or.at(out, (at >> np.uint64(6)).astype(np.int64), np.uint64(1) << (at & np.uint64(63)))
+    return out.view(np.int64)
+
+
+def bitmap_words(n: int) -> int:
+    """Words of the bitmaps of members of size n: two to four bits for each element of the set."""
+    return 1 << max(0, -(-n // 32) - 1).bit_length()
+
+
+def _marker(batches):
+    """The last column, lists of elements, as bitmaps whose width follows from the column n."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, 500):
+            part = batch.slice(at, 500)
+            sets = [np.asarray(x.values.to_numpy(zero_copy_only=False), np.int64) for x in part.column(part.num_columns - 1)]
+            marks = [bitmap(x, bitmap_words(n)) for x, n in zip(sets, part.column("n").to_pylist())]
+            yield pa.RecordBatch.from_arrays([*part.columns[:-1], pa.array(marks, pa.list_(pa.int64()))], names=part.schema.names)
+
+
+def _least_difference(a, b, num: int, den: int):
+    """At least so many elements are in one only of two sets of such bitmaps: the bits that are. The wider bitmap is folded to the other's width; sizes that allow the threshold
+    are few doublings apart (others: null)."""
+
+    def fold(x, other):
+        half = (F.size(x) / 2).cast("int")
+        return F.when(F.size(x) > F.size(other), F.zip_with(F.slice(x, F.lit(1), half), F.slice(x, half + 1, half), lambda p, q: p.bitwiseOR(q))).otherwise(x)
+
+    for _ in range((-(-den // num) - 1).bit_length()):
+        a, b = fold(a, b), fold(b, a)
+    return F.aggregate(F.zip_with(a, b, lambda p, q: F.bit_count(p.bitwiseXOR(q))), F.lit(0), lambda s, x: s + x)
+
+
 def sign(docs: DataFrame, k: int = 5, coords: int = 24) -> DataFrame:
     """(doc_id, text_key, n, print, sig) of every row: hash of the text, shingle count, digest of the set (null if it is empty), signature."""
     ship(docs.sparkSession)
@@ -260,11 +299,13 @@ def _met(own: DataFrame, num: int, den: int, tasks: int, described: bool) -> Dat
     rest = F.when(late > 0, F.slice(F.array_sort(F.filter("d", lambda h: ~counted(h))), F.lit(1), late)).otherwise(F.array().cast("array<bigint>"))
     taken = F.concat(F.slice("mine", F.lit(1), F.greatest(F.lit(0), F.col("first") - lone)), rest)
     told_apart = F.col("d" if described else "early")  # of whole sets, the counted part: no pair differs there more than on the whole
-    posted = cols.select("grp", "cls", "comp", "n", lone.alias("x"), F.size(told_apart).alias("m"), told_apart.alias("d"), F.explode(taken).alias("h"))
-    posted = settle(posted.select("grp", "h", "cls", "comp", "n", "x", "m", "d").coalesce(tasks), "posted")
+    ship(own.sparkSession)
+    marked = cols.select("grp", "cls", "comp", "n", lone.alias("x"), F.size(told_apart).alias("m"), taken.alias("taken"), told_apart.alias("d"))
+    marked = marked.mapInArrow(_marker, "grp long, cls long, comp long, n long, x int, m int, taken array<long>, d array<long>")
+    posted = settle(marked.select("grp", F.explode("taken").alias("h"), "cls", "comp", "n", "x", "m", "d").coalesce(tasks), "posted")
     stray, full = _strays(posted, ["grp", "h"], ["cls", "comp", "n", "x", "m", "d"])
     most = F.lit(den - num) * (F.col("n_a") + F.col("n_b"))
-    within = F.lit(den + num) * (F.col("m_a") + F.col("m_b") - 2 * F.size(F.array_intersect("d_a", "d_b"))) <= most
+    within = F.lit(den + num) * F.greatest(F.abs(F.col("m_a") - F.col("m_b")), _least_difference(F.col("d_a"), F.col("d_b"), num, den)) <= most
     fits = (F.lit(den + num) * (F.col("x_a") + F.col("x_b")) <= most) & within
     return stray.hint("merge").join(full, ["grp", "h"]).where(_apart(num, den) & fits).select(F.col("cls_a").alias("a"), F.col("cls_b").alias("b"))
 
