@@ -70,3 +70,31 @@ def test_level_sample_needs_only_a_part_for_its_bounds(spark, monkeypatch):
     rows = hashed_many(df, views, spec, key=True)
     none = levels.lps_estimate(levels.lps_state(rows, 16, 64, some=rows.where("view_id = 'a' AND y % 7 = 0"))).collect()  # a part that lacks a view
     assert sorted(map(repr, none)) == sorted(map(repr, levels.lps_estimate(levels.lps_state(rows, 16, 64, "native")).collect()))
+
+
+@pytest.mark.parametrize("L, most", [(32, 1024), (64, 1024), (32, 2**13), (64, 2**13)])
+def test_md5_states_are_combined_in_tasks_and_agree(spark, monkeypatch, L, most):
+    """Hashes of the numpy form, of numbers, negative ones, texts, fractions and nulls, give the estimates of the expressions; few rows leave a task where there are few buckets."""
+    from viewsize.functions.hashing import HashSpec
+    from viewsize.plans import protocol
+    from viewsize.plans.views import ViewSpec
+
+    made = []
+    real = protocol._counter
+    monkeypatch.setattr(protocol, "_counter", lambda *a: made.append(a) or real(*a))
+    df = spark.range(4000).selectExpr("if(id % 41 = 0, null, (id - 2000) * 450359962737049) AS a", "if(id % 7 = 0, null, concat('é', id % 3)) AS b", "id % 5 / 4 AS c", "id")
+    views, methods, ms, spec = [ViewSpec("v", ("a", "b", "c"), "f"), ViewSpec("w", ("id",), "f"), ViewSpec("x", ("b", "c"), "f")], ["pc", "ll", "ac", "gc", "lps"], [16, most], HashSpec(L=L, mode="md5", mix="final")
+    got = sorted(map(repr, protocol.run(df, views, methods, ms, 2, spec).collect()))
+    assert len(made) >= 3 and got == sorted(map(repr, protocol.run(df, views, methods, ms, 2, spec, "native").collect()))
+
+
+def test_numbers_hash_as_their_texts():
+    import hashlib
+
+    import numpy as np
+
+    from viewsize.functions import md5
+
+    v = np.array([0, 1, -1, 9, 10, 99, 100, -10, 2**32 - 1, 2**63 - 1, -(2**63), 10**18, -(10**18), *range(-300, 300, 7)], np.int64)
+    for prefix in (b"", b"3:l_orderkey:v:", b"12:" + b"x" * 60):
+        assert md5.of_numbers(prefix, v).tolist() == [int(hashlib.md5(prefix + str(x).encode()).hexdigest()[:16], 16) for x in v.tolist()]
